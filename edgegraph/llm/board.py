@@ -23,9 +23,10 @@ _ASKED = pa.schema([("board", pa.int32()), ("chunk", pa.int32()), ("kind", pa.in
 _ANSWERED = pa.schema([("chunk", pa.int32()), ("board", pa.int32()), ("kind", pa.int32()), ("bits", pa.binary())])
 
 
-def deal(docs: DataFrame, chunk_bytes: int) -> tuple[DataFrame, int]:
-    """(doc_id, text, chunk): the rows dealt into chunks of about chunk_bytes, and all texts' bytes."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+def deal(docs: DataFrame, chunk_bytes: int, carry: tuple[str, ...] = ()) -> tuple[DataFrame, int]:
+    """(doc_id, text, chunk), and columns to carry as __name: the rows dealt into chunks of about
+    chunk_bytes; and all texts' bytes."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), *(F.col(c).alias(f"__{c}") for c in carry))
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     chunks = max(1, math.ceil(size / chunk_bytes))
     return docs.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks)).cast("int")), size

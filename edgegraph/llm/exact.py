@@ -100,7 +100,7 @@ def exact_groups(docs: DataFrame, capacity: int = 50_000, max_bits: int = 12, ca
     """
     index = build_index(docs, shared_folder(docs.sparkSession, "exact-index"), capacity, max_bits)
     text = normalised(F.col("text"))
-    probe = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("__text"), *(F.col(c).alias(f"__{c}") for c in carry))
-    probe = probe.select("doc_id", F.xxhash64("__text").alias("hash"), F.sha2("__text", 256).alias("text_sha256"), *(f"__{c}" for c in carry))
+    probe = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("normalised_"), *(F.col(c).alias(f"__{c}") for c in carry))
+    probe = probe.select("doc_id", F.xxhash64("normalised_").alias("hash"), F.sha2("normalised_", 256).alias("text_sha256"), *(f"__{c}" for c in carry))
     found = probe.join(index.select("hash", "text_sha256", "keep_id", "group_size"), ["hash", "text_sha256"])
     return found.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256", *(F.col(f"__{c}").alias(c) for c in carry))

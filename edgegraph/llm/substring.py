@@ -95,21 +95,24 @@ def _windows_answer(_: int, parts: list) -> list[list[np.ndarray]]:
     return [[x] for x in np.split(least[place] < own, np.cumsum([len(k) for k in keys])[:-1])]
 
 
-def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None, chunk_bytes: int = 1_500_000, board_keys: int = 400_000, digest: bool = False) -> DataFrame:
+def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None, chunk_bytes: int = 1_500_000, board_keys: int = 400_000, digest: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
     """Words covered by a window of ``width`` words that also starts in a document of smaller id.
 
     docs: doc_id, text (other columns are ignored). Words are the runs without white space (space and
     the five ASCII controls from tab to carriage return). One row per input row: counts and the kept
     words joined by one space, or their SHA-256. The document of the smallest id keeps a passage whole.
     Null text: no words. Rows of the same id do not count as smaller than each other, and a null id
-    counts as the smallest. An empty table gives no rows.
+    counts as the smallest. An empty table gives no rows. A text that loses nothing is returned as it was;
+    carry: columns of docs to return as well.
     """
     block = (width + 1) // 2 if block is None else block
     if 2 * block - 1 > width:
         raise ValueError("a window must hold a whole block: 2 * block - 1 <= width")
-    dealt, size = B.deal(docs, chunk_bytes)
+    dealt, size = B.deal(docs, chunk_bytes, carry)
     probe_boards, window_boards = max(1, math.ceil(size / 6 / board_keys)), max(1, math.ceil(size / 20 / board_keys))
 
+    schema = (RESULT if digest else TEXTS) + "".join(f", `__{c}` {dict(docs.dtypes)[c]}" for c in carry)
+
     def probe(table: pa.Table) -> pa.Table:
         uniq, _, indexed, twice = _Words(table, block, width).questions()
         low = (uniq & np.uint64(0xFFFFFFFF)).astype(np.uint32)
@@ -136,12 +139,16 @@ def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None
         uniq, place, least, ids = smallest(w, at, keys, left["doc_id"])
         (elsewhere,) = B.answers(right, _WINDOW, uniq, window_boards, 1)
         gone = covered(at[elsewhere[place] | (least[place] < ids)], width, len(w.starts))
-        return _finish(left["doc_id"], w, gone, digest)
+        out = _finish(left["doc_id"], w, gone, digest)
+        for c in carry:
+            out = out.append_column(f"__{c}", left[f"__{c}"])
+        return out
 
     by_chunk = dealt.groupBy("chunk")
     first = by_chunk.applyInArrow(probe, B.ASKED).groupBy("board").applyInArrow(B.owner(_blocks_answer), B.ANSWERED)
     second = by_chunk.cogroup(first.groupBy("chunk")).applyInArrow(extend, B.ASKED).groupBy("board").applyInArrow(B.owner(_windows_answer), B.ANSWERED)
-    return dealt.groupBy("chunk").cogroup(first.unionByName(second).groupBy("chunk")).applyInArrow(remove, RESULT if digest else TEXTS)
+    out = dealt.groupBy("chunk").cogroup(first.unionByName(second).groupBy("chunk")).applyInArrow(remove, schema)
+    return out.withColumnsRenamed({f"__{c}": c for c in carry})
 
 
 def _finish(ids, w: _Words, gone: np.ndarray, digest: bool) -> pa.Table:
@@ -159,8 +166,10 @@ def _finish(ids, w: _Words, gone: np.ndarray, digest: bool) -> pa.Table:
     kept = np.concatenate(([0], np.cumsum(~gone)))[w.first]
     n = np.diff(w.first)
     bounds = into[kept]
-    texts = [out[a : max(a, b - 1)].tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-    cols = {"doc_id": ids, "n_words": n.astype(np.int64), "n_removed": (n - np.diff(kept)).astype(np.int64)}
+    lost = n - np.diff(kept)
+    whole = np.zeros(len(n), dtype=bool) if digest else lost == 0
+    texts = [w.data[c:d].tobytes() if same else out[a : max(a, b - 1)].tobytes() for a, b, c, d, same in zip(bounds[:-1], bounds[1:], w.off[:-1], w.off[1:], whole, strict=True)]
+    cols = {"doc_id": ids, "n_words": n.astype(np.int64), "n_removed": lost.astype(np.int64)}
     if digest:
         return pa.table(cols | {"kept_sha256": [hashlib.sha256(x).hexdigest() for x in texts]})
     return pa.table(cols | {"kept_text": pa.array([x.decode() for x in texts], pa.string())})
