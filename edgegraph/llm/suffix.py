@@ -12,7 +12,7 @@ sorts these groups by hash and not by letter:
 1. *parse*: each phrase occurrence asks with the phrase that follows it and with its *context* (its
    own bytes and the ``width`` bytes after it). Contexts that occur twice settle all their windows.
    A following phrase that occurs in one context only cannot lie in a window that another context
-   shares.
+   shares, nor can any phrase that occurs once.
 2. *dictionary*: the remaining groups, at the borders of repeats, compare their windows one by one;
    of equal contexts one stands for all.
 
@@ -64,13 +64,15 @@ class _Groups:
         has = np.flatnonzero(same & ~tail[1:])
         follow[has] = at[has + 1]
         hi = np.minimum(at, last[doc])  # the last start, included
-        keep = lo <= hi
+        keep = (lo <= hi) | (follow >= 0)  # phrases count wherever they stand
+        hi = np.maximum(hi, lo - 1)
         self.lo, self.hi, at, follow, doc = lo[keep], hi[keep], at[keep], follow[keep], doc[keep]
         # starts from which the following phrase lies whole in the window
         whole = np.where(follow < 0, self.hi + 1, follow + TRIGGER - width)
         self.whole = np.minimum(np.maximum(self.lo, whole), self.hi + 1)
-        self.asks = np.flatnonzero(self.whole <= self.hi)
+        self.asks = np.flatnonzero(follow >= 0)
         a = self.asks
+        self.phrase_end, self.doc = follow[a] + TRIGGER, doc[a]
         self.next_key = self.sums.at(at[a], follow[a] + TRIGGER)
         self.context_key = self.sums.at(self.lo[a], np.minimum(at[a] + width, off[doc[a] + 1]))
 
@@ -97,12 +99,21 @@ class _Groups:
         settled[~alone] = repeated[at]
         emits[~alone] = leads[at]
         emits &= several[place]
+        # a window that holds a phrase which occurs once cannot repeat: it must end before the first such
+        once = ~(several[place] | settled)
+        n = len(once)
+        after = np.minimum.accumulate(np.where(once, np.arange(n), n)[::-1])[::-1]
+        bound = np.full(n, np.iinfo(np.int64).max)
+        has = after < n
+        has[has] = self.doc[after[has]] == self.doc[has]
+        bound[has] = self.phrase_end[after[has]] - self.width
         # of equal contexts in this chunk, one compares its windows
         _, first = np.unique(self.context_key, return_index=True)
         one = np.zeros(len(self.asks), dtype=bool)
         one[first] = True
-        go = self.asks[emits & one]
-        starts = np.concatenate((spread(self.lo, self.whole), spread(self.whole[go], self.hi[go] + 1)))
+        go = np.flatnonzero(emits & one)
+        at = self.asks[go]
+        starts = np.concatenate((spread(self.lo, self.whole), spread(self.whole[at], np.maximum(self.whole[at], np.minimum(self.hi[at] + 1, bound[go])))))
         return self.asks[settled], starts
 
 
