@@ -77,7 +77,8 @@ def event_lattice(spark, sf_dir):
     """An event, the next one of its user and the next one of its type."""
     e = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
     after = lambda c: F.lead("event_id").over(Window.partitionBy(c).orderBy("ts", "event_id"))
-    steps = e.select("event_id", F.explode(F.array(after("user_id"), after("event_type"))).alias("next"))
+    both = e.select("event_id", after("user_id").alias("u"), after("event_type").alias("t"))
+    steps = both.select("event_id", F.explode(F.array("u", "t")).alias("next"))
     return EdgeGraph.from_pairs(steps, vid(F.col("event_id"), "event"), vid(F.col("next"), "event"))
 
 
