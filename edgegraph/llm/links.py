@@ -21,16 +21,36 @@ def components(links: DataFrame, most_rounds: int = 200) -> DataFrame:
     """
     spark = links.sparkSession
     folder = shared_folder(spark, "components")
-    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a != b").distinct()
-    both = store(both, f"{folder}/links")
-    labels = store(both.groupBy(F.col("a").alias("node")).agg(F.min(F.least("a", "b")).alias("label")), f"{folder}/0")
+    ends = links.where("a != b").select(F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b")), F.struct("a", F.col("a").alias("b")), F.struct(F.col("b").alias("a"), "b"))).alias("e"))
+    both = store(ends.select("e.a", "e.b").distinct(), f"{folder}/links")  # each node beside itself, too
+    labels = store(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("label")), f"{folder}/0")
     for i in range(1, most_rounds):
-        near = both.join(labels.select(F.col("node").alias("b"), "label"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("near"))
-        step = labels.join(near, "node").select("node", F.col("label").alias("old"), F.least("label", "near").alias("label"))
-        jump = step.select(F.col("node").alias("label"), F.col("label").alias("further"))
-        after = store(step.join(jump, "label", "left").select("node", "old", F.least("label", F.coalesce("further", "label")).alias("label")), f"{folder}/{i}")
-        moved = after.where("old != label").limit(1).count()
+        step = both.join(labels.select(F.col("node").alias("b"), "label"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("label"), F.max("label").alias("most"))
+        after = store(_jump(step.select("node", "label", "most"), labels), f"{folder}/{i}")
+        # settled where all neighbours bear one label, and that is its own label
+        open_ = after.where("label != most or label != near").limit(1).count()
         labels = after.select("node", "label")
-        if not moved:
+        if not open_:
             return labels
     raise RuntimeError("components did not settle")
+
+
+def _jump(step: DataFrame, labels: DataFrame) -> DataFrame:
+    further = labels.select(F.col("node").alias("near"), F.col("label").alias("further"))
+    return step.withColumnRenamed("label", "near").join(further, "near", "left").select("node", "near", "most", F.least("near", F.coalesce("further", "near")).alias("label"))
+
+
+def roots(parents: DataFrame, most_rounds: int = 64) -> DataFrame:
+    """(node, label) for each end of (a, b) where every b stands once and a < b: the last of its chain."""
+    folder = shared_folder(parents.sparkSession, "roots")
+    up = parents.select(F.col("b").alias("node"), F.col("a").alias("label"))
+    tops = parents.select(F.col("a").alias("node")).distinct().join(up.select("node"), "node", "left_anti").withColumn("label", F.col("node"))
+    labels = store(up.unionByName(tops), f"{folder}/0")
+    for i in range(1, most_rounds):
+        further = labels.select(F.col("node").alias("label"), F.col("label").alias("further"))
+        after = store(labels.join(further, "label").select("node", "label", "further"), f"{folder}/{i}")
+        moved = after.where("further != label").limit(1).count()
+        labels = after.select("node", F.col("further").alias("label"))
+        if not moved:
+            return labels
+    raise RuntimeError("chains did not end")

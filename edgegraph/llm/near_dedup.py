@@ -10,9 +10,10 @@ comes later than the last register was taken (early termination).
 node from the start, so copies never meet in a bucket.
 
 *Verification.* Candidates are compared by the exact probability Jaccard of their shingles. A bucket does
-not list its pairs: all its members are compared with one centre, verified links are joined to classes,
-and only buckets that still hold several classes go on, small ones with the pairs across classes and
-large ones with new random centres, until a round finds no further link.
+not list its pairs: each document is first compared with the smallest centre of its buckets, verified
+links are joined to classes, and only buckets that still hold several classes go on, small ones with all
+pairs across classes and large ones with two random centres a member and turn, until a turn finds no
+further link in a large bucket.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .exact import shared_folder
-from .links import components, store
+from .links import components, roots, store
 from .rolling import Prefix, mix, text_bytes, words
 
 _U = np.uint64
@@ -170,35 +171,49 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8, ban
     copies = store(copies, f"{folder}/copies")
     banded = copies.select("rep", F.explode("keys").alias("key"))
     crowded = banded.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("rep").alias("centre"), F.max("rep").alias("last")).where("centre != last")
-    buckets = store(banded.join(crowded.select("key", "n", "centre"), "key"), f"{folder}/buckets")
+    buckets = store(banded.hint("merge").join(crowded.select("key", "n", "centre"), "key"), f"{folder}/buckets")
     # the representatives that meet any other, with their texts
     involved = buckets.select(F.col("rep").alias("doc_id")).distinct()
-    texts = store(docs.where(F.col("doc_id").isNotNull()).join(involved, "doc_id"), f"{folder}/texts")
+    texts = store(docs.where(F.col("doc_id").isNotNull()).hint("merge").join(involved, "doc_id"), f"{folder}/texts")
     a, b = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
 
     def compared(pairs: DataFrame, name: str) -> DataFrame:
-        pairs = pairs.where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        return store(verify(pairs.join(a, "a").join(b, "b"), width, threshold, slice_bytes).distinct(), f"{folder}/{name}")
-
-    links = compared(buckets.select(F.col("centre").alias("a"), F.col("rep").alias("b")), "links0")
+        pairs = pairs.where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "kind")
+        pairs = pairs.groupBy("a", "b").agg(F.max("kind").alias("kind"))
+        found = verify(pairs.hint("merge").join(a, "a").hint("merge").join(b, "b"), width, threshold, slice_bytes)
+        return store(found.distinct().join(pairs, ["a", "b"]), f"{folder}/{name}")
+
+    # first every member meets one centre, the smallest of its buckets: links of a forest
+    nearest = buckets.groupBy("rep").agg(F.min("centre").alias("centre")).where("rep != centre")
+    links = compared(nearest.select(F.col("centre").alias("a"), F.col("rep").alias("b"), F.lit(0).alias("kind")), "links0")
+    labels = roots(links.select("a", "b"))
     turn = 0
     while True:
         turn += 1
-        labels = components(links)
-        classed = buckets.join(labels.select(F.col("node").alias("rep"), "label"), "rep", "left").select("key", "rep", "n", F.coalesce("label", "rep").alias("label"))
+        classed = buckets.hint("merge").join(labels.select(F.col("node").alias("rep"), "label"), "rep", "left").select("key", "rep", "n", F.coalesce("label", "rep").alias("label"))
         mixed = classed.groupBy("key").agg(F.min("label").alias("least"), F.max("label").alias("most"), *(F.min_by(F.struct("rep", "label"), F.xxhash64("rep", F.lit(2 * turn + i))).alias(f"c{i}") for i in (0, 1))).where("least != most")
-        rest = store(classed.join(mixed.select("key", "c0", "c1"), "key"), f"{folder}/rest{turn}")
-        pairs = [rest.where(F.col(f"c{i}.label") != F.col("label")).select(F.col(f"c{i}.rep").alias("a"), F.col("rep").alias("b")) for i in (0, 1)]
+        rest = store(classed.hint("merge").join(mixed.select("key", "c0", "c1"), "key"), f"{folder}/rest{turn}")
+        # a member of a large bucket meets two centres of other classes in a turn
+        large = rest.where(F.col("n") > small).select("rep", "label", F.explode(F.array("c0", "c1")).alias("c")).where("c.label != label")
+        order = F.xxhash64("rep", "c.rep", F.lit(turn))
+        two = large.groupBy("rep").agg(F.min_by("c.rep", order).alias("x"), F.max_by("c.rep", order).alias("y"))
+        pairs = two.select(F.explode(F.array("x", "y")).alias("a"), F.col("rep").alias("b"), F.lit(1).alias("kind"))
         if turn == 1:
             few = rest.where(F.col("n") <= small).select("key", "rep", "label")
             other = few.select("key", F.col("rep").alias("b"), F.col("label").alias("other"))
-            pairs.append(few.join(other, "key").where("rep < b and label != other").select(F.col("rep").alias("a"), "b"))
-        else:
-            pairs = [p.join(rest.where(F.col("n") > small).select(F.col("rep").alias("b")).distinct(), "b", "left_semi") for p in pairs]
-        found = compared(pairs[0].unionByName(pairs[1]).unionByName(pairs[2]) if turn == 1 else pairs[0].unionByName(pairs[1]), f"links{turn}")
-        if not found.limit(1).count():
+            pairs = pairs.unionByName(few.hint("merge").join(other, "key").where("rep < b and label != other").select(F.col("rep").alias("a"), "b", F.lit(0).alias("kind")))
+        found = compared(pairs, f"links{turn}")
+        kinds = found.agg(F.count(F.lit(1)).alias("n"), F.sum("kind").alias("large")).first()
+        if not kinds["n"]:
             break
-        links = store(links.unionByName(found), f"{folder}/all{turn}")
+        # classes that the new links join
+        name = lambda end: labels.select(F.col("node").alias(end), F.col("label").alias(f"l{end}"))
+        between = found.join(name("a"), "a", "left").join(name("b"), "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b"))
+        joined = components(between)
+        known = labels.unionByName(found.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(labels.select("node"), "node", "left_anti").withColumn("label", F.col("node")))
+        labels = store(known.join(joined.select(F.col("node").alias("label"), F.col("label").alias("further")), "label", "left").select("node", F.coalesce("further", "label").alias("label")), f"{folder}/labels{turn}")
+        if not kinds["large"]:
+            break  # small buckets have met all of their pairs
     classes = copies.join(labels.select(F.col("node").alias("rep"), "label"), "rep", "left").select("seq", "again", "copies", F.coalesce("label", "rep").alias("class_id"))
     sizes = classes.groupBy("class_id").agg(F.sum("copies").alias("class_size"))
     known = worded.select("doc_id", "seq", "again").join(classes, ["seq", "again"]).join(sizes, "class_id").select("doc_id", "class_id", "class_size", "copies")
