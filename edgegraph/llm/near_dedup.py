@@ -282,7 +282,9 @@ def zone_links(members: DataFrame, width: int, threshold: float, block_bytes: in
         a, b = ids[0][i[one]], ids[1][j[one]]
         return pa.table({"a": np.minimum(a, b).astype(np.int64), "b": np.maximum(a, b).astype(np.int64)})
 
-    return query.unionByName(target).groupBy("zone", "i", "j").applyInArrow(run, "a long, b long").distinct()
+    # one key, for else the rows of a zone, dealt by zone already, would all stay in one task
+    cells = query.unionByName(target).withColumn("cell", F.struct("zone", "i", "j")).drop("zone", "i", "j")
+    return cells.groupBy("cell").applyInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8, bands: int = 24, rows: int = 5, small: int = 10, slice_bytes: int = 400_000, turns: int = 1, block_bytes: int = 1_000_000, block_rows: int = 700) -> DataFrame:

@@ -94,6 +94,48 @@ def test_classes_match_brute_force(spark, seed):
     assert all(r.class_size == sizes[r.class_id] and r.kept == (r.doc_id == r.class_id) for r in got)
 
 
+def test_close_pairs_match_the_definition():
+    rng = random.Random(4)
+    sets = [{i: rng.choice([1, 1, 1, 3]) for i in range(20) if rng.random() < 0.93} for _ in range(90)] + [{i: 1 for i in range(20 + k % 3)} for k in range(30)]
+    sides = []
+    for part in (sets[:50], sets[50:]):
+        flat = [(i, k, v) for i, x in enumerate(part) for k, v in sorted(x.items())]
+        sides.append((np.array([f[0] for f in flat]), np.array([f[1] for f in flat], dtype=np.uint64), np.array([f[2] for f in flat])))
+    want = {(i, j) for i, a in enumerate(sets[:50]) for j, b in enumerate(sets[50:]) if jaccard(a, b) >= 0.8}
+    for chunk in (60, 1 << 20):
+        got = N.close_pairs(*sides, 50, len(sets) - 50, 0.8, chunk)
+        assert set(zip(*(x.tolist() for x in got))) == want and 0 < len(want) < 50 * 70
+
+
+def test_shared_weights_of_rare_and_frequent_shingles():
+    rng = np.random.default_rng(3)
+    x = (rng.random((150, 400)) < np.where(np.arange(400) < 20, 0.6, 0.01)) * rng.integers(1, 4, (150, 400))
+    sides = []
+    for part in (x[:70], x[70:]):
+        who, key = np.nonzero(part)
+        sides.append((who, key.astype(np.uint64), part[who, key]))
+    s, u = N.shared_weights(*sides, 70, 80, 2000)
+    assert np.array_equal(s, x[:70] @ (x[70:] > 0).T) and np.array_equal(u, (x[:70] > 0) @ x[70:].T)
+
+
+def test_a_large_group_of_chained_copies_matches_brute_force(spark):
+    rng = random.Random(7)
+    vocab = [f"w{i}" for i in range(500)]
+    base = [rng.choice(vocab) for _ in range(70)]
+    family = [base]
+    while len(family) < 110:  # edits of edits: many pairs on either side of the threshold
+        w = list(rng.choice(family[-40:]))
+        for _ in range(rng.choice([1, 1, 2])):
+            w[rng.randrange(len(w))] = rng.choice(vocab[:9])
+        family.append(w)
+    rows = [(i, " ".join(w)) for i, w in enumerate(rng.sample(family, len(family)))]
+    want = brute(rows, 0.8)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for blocks in ({}, {"block_rows": 16, "turns": 0, "small": 1}):
+        assert {r.doc_id: r.class_id for r in N.near_duplicates(docs, **blocks).collect()} == want
+    assert 1 < len(set(want.values())) < len(rows)
+
+
 def test_odd_rows(spark):
     t = "one two three four five six seven"
     docs = spark.createDataFrame([(None, t), (1, t), (1, t), (2, t + "\n")], "doc_id long, text string")
