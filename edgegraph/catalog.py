@@ -62,11 +62,9 @@ def _seconds(ts):
     return F.timestamp_diff("SECOND", F.lit("1970-01-01").cast("timestamp_ntz"), ts)
 
 
-def activity_grid(spark, sf_dir, users: int | None = None):
+def activity_grid(spark, sf_dir):
     """Cells (12-hour slot, user) with events; linked to the next slot and to the next user."""
     cells = load(spark, sf_dir, "events").select(F.floor(_seconds(F.col("ts")) / 43200).alias("slot"), "user_id").distinct()
-    if users is not None:
-        cells = cells.where(F.col("user_id") < users)
     key = lambda s, u: vid(s * (1 << 24) + u, "cell")
     steps = cells.select(key(F.col("slot"), F.col("user_id")).alias("a"), F.explode(F.array(key(F.col("slot") + 1, F.col("user_id")), key(F.col("slot"), F.col("user_id") + 1))).alias("b"))
     own = cells.select(key(F.col("slot"), F.col("user_id")).alias("b"))

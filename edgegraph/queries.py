@@ -305,8 +305,21 @@ def rewire_certificate(spark, d):
 # ------------------------------------------------------------ sweeps
 
 
-def _small_grid(spark, d) -> EdgeGraph:
-    return topology.giant_component(EdgeGraph(Scratch(spark, "graph").store(catalog.activity_grid(spark, d, users=40).edges)))
+W2_FRACTIONS = (0.0, 0.01, 0.02, 0.05, 0.1, 0.2)
+W1_GRAPHS = ("copurchase_q", "activity_grid", "shared_line")
+W3_GRAPHS = ("copurchase_q", "cust_supp", "activity_grid", "shared_line")
+SEEDS = range(5)
+
+
+def _giants(spark, d, names) -> dict[str, list[tuple[int, int]]]:
+    """The giant components of whole graphs: their edges go to the driver anyway, so they are found there."""
+    return {n: experiments.giant_list(experiments.edge_list(catalog.GRAPHS[n](spark, d))) for n in names}
+
+
+def _rewired_grids(spark, d) -> dict[str, list[tuple[int, int]]]:
+    base = experiments.giant_list(experiments.edge_list(catalog.activity_grid(spark, d)))
+    g = EdgeGraph(Scratch(spark, "graph").store(spark.createDataFrame(base, "src long, dst long")))
+    return {f"rewired {f}": experiments.giant_list(experiments.edge_list(topology.rewire(g, f, SEED))) if f else base for f in W2_FRACTIONS}
 
 
 def _rounded(runs):
@@ -315,21 +328,17 @@ def _rounded(runs):
 
 @query()
 def ksweep_summary(spark, d):
-    graphs = {"shared_line": experiments.edge_list(_line_graph(spark, d)), "activity_grid": experiments.edge_list(_small_grid(spark, d))}
-    return _rounded(experiments.sweep(spark, "ksweep", graphs, ("growth", "takeover"), (2, 4, 8, 16, 32), range(3)))
+    return _rounded(experiments.sweep(spark, "ksweep", _giants(spark, d, W1_GRAPHS), ("growth", "takeover"), (2, 4, 8, 16, 32), SEEDS))
 
 
 @query()
 def diameter_sweep_summary(spark, d):
-    base = _small_grid(spark, d)
-    graphs = {f"rewired {f}": experiments.edge_list(topology.giant_component(topology.rewire(base, f, SEED)) if f else base) for f in (0.0, 0.02, 0.1)}
-    return _rounded(experiments.sweep(spark, "diameter", graphs, ("growth", "takeover"), (K,), range(3)))
+    return _rounded(experiments.sweep(spark, "diameter", _rewired_grids(spark, d), ("growth", "takeover"), (K,), SEEDS))
 
 
 @query()
 def compare_summary(spark, d):
-    graphs = {"shared_line": experiments.edge_list(_line_graph(spark, d)), "activity_grid": experiments.edge_list(_small_grid(spark, d))}
-    return _rounded(experiments.sweep(spark, "compare", graphs, ("growth", "takeover", "swap", "hash"), (K,), range(2)))
+    return _rounded(experiments.sweep(spark, "compare", _giants(spark, d, W3_GRAPHS), ("growth", "takeover", "swap", "hash"), (K,), SEEDS))
 
 
 def flagship(spark, d):

@@ -155,3 +155,30 @@ def test_printed_random_clustering():
 
 def test_entry_lists_every_sql():
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_sweeps_cover_the_whole_giants(spark, sf):
+    from edgegraph import queries
+
+    graphs = queries._giants(spark, sf, queries.W3_GRAPHS)
+    assert set(graphs) == {"copurchase_q", "cust_supp", "activity_grid", "shared_line"}
+    sizes = {"copurchase_q": duckdb_giant(sf, "copurchase_q"), "activity_grid": duckdb_giant(sf, "activity_grid")}
+    assert {n: len(graphs[n]) for n in sizes} == sizes and sizes["activity_grid"] == 497
+    assert queries.W2_FRACTIONS == (0.0, 0.01, 0.02, 0.05, 0.1, 0.2) and len(queries.SEEDS) == 5
+    assert set(queries.W1_GRAPHS) >= {"copurchase_q", "activity_grid"}
+
+
+def duckdb_giant(sf, name):
+    from edgegraph import catalog
+
+    con = duckdb.connect()
+    for t in ("events", "orders", "lineitem"):
+        con.sql(f"create view {t} as select * from '{sf}/{t}.parquet'")
+    edges = con.sql(catalog.SQL[name]).fetchall()
+    left, most = {v for e in edges for v in e}, 0
+    while left:
+        inside = {v for v, d in bfs(edges, min(left)).items() if d is not None}
+        left -= inside
+        if len(inside) > most:
+            most, n_edges = len(inside), sum(a in inside for a, _ in edges)
+    return n_edges
