@@ -80,13 +80,30 @@ def event_lattice(spark, sf_dir):
     return EdgeGraph.from_pairs(steps, vid(F.col("event_id"), "event"), vid(F.col("next"), "event"))
 
 
+def _lines(spark, sf_dir, least: int):
+    return load(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= least).distinct()
+
+
 def shared_line(spark, sf_dir, least: int = 20, most_docs: int = 50):
     """Documents that share a line of at least 20 characters found in 2 to 50 documents."""
-    lines = load(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= least).distinct()
+    lines = _lines(spark, sf_dir, least)
     some = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).where(F.col("n").between(2, most_docs)).select("line")
     return _together(lines.join(some, "line"), "line", "doc_id", "document")
 
 
+def shared_line_all(spark, sf_dir, least: int = 20, pairs_up_to: int = 50):
+    """Documents that share a line of at least 20 characters, however many have it.
+
+    Pairs of a line in up to pairs_up_to documents are linked; the documents of a more frequent line are
+    all linked to the smallest of them, so they stay connected by n - 1 edges.
+    """
+    lines = _lines(spark, sf_dir, least)
+    per = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("first")).where("n > 1")
+    few = _together(lines.join(per.where(F.col("n") <= pairs_up_to).select("line"), "line"), "line", "doc_id", "document")
+    star = lines.join(per.where(F.col("n") > pairs_up_to), "line").select(vid(F.col("first"), "document").alias("a"), vid(F.col("doc_id"), "document").alias("b"))
+    return EdgeGraph.from_pairs(few.edges.toDF("a", "b").union(star), "a", "b")
+
+
 def page_link(spark, sf_dir):
     """Pages and the addresses that they link to."""
     links = load(spark, sf_dir, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("url"))
@@ -125,7 +142,7 @@ def knn(spark, sf_dir, k: int = 5):
     return EdgeGraph.from_pairs(top, vid(F.col("vec_id"), "vector"), vid(F.col("other"), "vector"))
 
 
-GRAPHS = {f.__name__: f for f in (copurchase_q, copurchase_y, copurchase_all, cust_supp, supp_part, cust_part, activity_grid, event_lattice, shared_line, page_link, hierarchy, reply_chain, knn)}
+GRAPHS = {f.__name__: f for f in (copurchase_q, copurchase_y, copurchase_all, cust_supp, supp_part, cust_part, activity_grid, event_lattice, shared_line, shared_line_all, page_link, hierarchy, reply_chain, knn)}
 
 _C = lambda s, u: f"((({s}) * 16777216 + ({u})) * 16 + 11)"
 
@@ -153,6 +170,7 @@ SQL = {
     "activity_grid": f"with c as (select distinct floor(epoch(ts) / 43200)::bigint s, user_id u from events) select {_C('c.s', 'c.u')} as src, {_C('d.s', 'd.u')} as dst from c join c d on (d.s = c.s + 1 and d.u = c.u) or (d.s = c.s and d.u = c.u + 1)",
     "event_lattice": _sql_pairs("select event_id * 16 + 6 a, x * 16 + 6 b from (select event_id, unnest([lead(event_id) over (partition by user_id order by ts, event_id), lead(event_id) over (partition by event_type order by ts, event_id)]) x from events) where x is not null"),
     "shared_line": "with l as (select distinct doc_id, trim(x) line from (select doc_id, unnest(string_split(text, chr(10))) x from documents) where length(trim(x)) >= 20), s as (select line from l group by line having count(*) between 2 and 50) select distinct a.doc_id * 16 + 7 as src, b.doc_id * 16 + 7 as dst from l a join s using (line) join l b on a.line = b.line and a.doc_id < b.doc_id",
+    "shared_line_all": "with l as (select distinct doc_id, trim(x) line from (select doc_id, unnest(string_split(text, chr(10))) x from documents) where length(trim(x)) >= 20), s as (select line, count(*) n, min(doc_id) f from l group by line having count(*) > 1) select distinct a.doc_id * 16 + 7 as src, b.doc_id * 16 + 7 as dst from l a join s using (line) join l b on a.line = b.line and a.doc_id < b.doc_id where s.n <= 50 or a.doc_id = s.f",
     "page_link": _sql_pairs("select page_id * 16 + 8 a, (('0x' || substr(md5('0|' || u), 1, 15))::bigint >> 4) * 16 + 9 b from (select page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) u from pages)"),
     "hierarchy": _sql_pairs("select n_regionkey::bigint * 16 a, n_nationkey::bigint * 16 + 1 b from nation union all select c_nationkey::bigint * 16 + 1, c_custkey * 16 + 2 from customer union all select o_custkey * 16 + 2, o_orderkey * 16 + 5 from orders"),
     "reply_chain": "with t as (select distinct conv_id c, turn t from conversations) select (a.c * 1000 + a.t) * 16 + 10 as src, (b.c * 1000 + b.t) * 16 + 10 as dst from t a join t b on a.c = b.c and b.t = a.t + 1",

@@ -58,7 +58,7 @@ def _profile_sql(graph: str) -> str:
             round(case when w - 2 * t3 / 3 > 0 then (t3 / 3) / (w - 2 * t3 / 3) else 0 end, 9) closed_share, round(2.0 * m / (n * (n - 1)), 12) random from g"""
 
 
-for _name in ("copurchase_q", "shared_line", "activity_grid", "event_lattice"):
+for _name in ("copurchase_q", "shared_line", "shared_line_all", "activity_grid", "event_lattice"):
     query(_profile_sql(_name), f"graph_profile_{_name}")(lambda spark, d, f=catalog.GRAPHS[_name]: topology.profile(EdgeGraph(Scratch(spark, "graph").store(f(spark, d).edges))))
 
 
@@ -177,8 +177,8 @@ def coin_conversion(spark, d):
 # ------------------------------------------------------------ growth and swap: certificates
 
 
-def _line_graph(spark, d) -> EdgeGraph:
-    return topology.giant_component(EdgeGraph(Scratch(spark, "graph").store(catalog.shared_line(spark, d).edges)))
+def _line_graph(spark, d, rule=catalog.shared_line) -> EdgeGraph:
+    return topology.giant_component(EdgeGraph(Scratch(spark, "graph").store(rule(spark, d).edges)))
 
 
 _GIANT_M = f"with {_COMPONENTS.format(graph=f'e as ({catalog.SQL["shared_line"]}), h as (select src a, dst b from e union all select dst, src from e)')}, big as (select c from t group by c order by count(*) desc, c limit 1), ge as (select src, dst from e join t on t.vid = src join big using (c))"
@@ -194,28 +194,28 @@ def _certificate(g: EdgeGraph, p: EdgePartitioning):
 
 
 @query(_CERT)
-def growth_certificate(spark, d):
-    g = _line_graph(spark, d)
+def growth_certificate(spark, d, rule=catalog.shared_line):
+    g = _line_graph(spark, d, rule)
     return _certificate(g, growth.funded_growth(g, 4, SEED, rate=0.5))
 
 
 @query(_CERT)
-def growth_takeover_certificate(spark, d):
-    g = _line_graph(spark, d)
+def growth_takeover_certificate(spark, d, rule=catalog.shared_line):
+    g = _line_graph(spark, d, rule)
     return _certificate(g, growth.funded_growth(g, 4, SEED, rate=0.5, takeover=True))
 
 
 @query(f"{_GIANT_M} select count(*) n_edges, 0::bigint differ from ge")
-def growth_mirrored_equals_edge(spark, d):
-    g = _line_graph(spark, d)
+def growth_mirrored_equals_edge(spark, d, rule=catalog.shared_line):
+    g = _line_graph(spark, d, rule)
     a, b = (growth.funded_growth(g, 4, SEED, plan=p, rate=0.5).assigned for p in ("edge", "mirrored"))
     both = a.join(b.withColumnRenamed("part", "other"), ["src", "dst"], "full")
     return both.agg(F.count(F.lit(1)).alias("n_edges"), F.count(F.when(~F.col("part").eqNullSafe(F.col("other")), 1)).alias("differ"))
 
 
 @query(f"{_GIANT_M}, n as (select count(*) n from (select distinct unnest([src, dst]) from ge)) select p.part::int part, (n // 4 + (p.part < n % 4)::int)::bigint n_vertices from range(4) p(part), n")
-def swap_certificate(spark, d):
-    parts, _ = annealed.annealed_swap(_line_graph(spark, d), 4, SEED, most_rounds=6, delta=0.5)
+def swap_certificate(spark, d, rule=catalog.shared_line):
+    parts, _ = annealed.annealed_swap(_line_graph(spark, d, rule), 4, SEED, most_rounds=6, delta=0.5)
     return parts.groupBy("part").agg(F.count(F.lit(1)).alias("n_vertices"))
 
 
@@ -281,8 +281,8 @@ def mis_certificate(spark, d):
 
 
 @query()
-def betweenness_sampled(spark, d):
-    g = _line_graph(spark, d)
+def betweenness_sampled(spark, d, rule=catalog.shared_line):
+    g = _line_graph(spark, d, rule)
     return programs.betweenness(baselines.hash_edges(g, 4, SEED), [baselines.pick_source(g, s) for s in range(2)]).withColumn("score", F.round("score", 6))
 
 
@@ -302,12 +302,17 @@ def rewire_certificate(spark, d):
     return g.edges.agg(F.count(F.lit(1)).alias("n_edges")).withColumn("triangles", F.lit(topology.triangle_list(g).count())).withColumn("loops_or_twice", F.lit(bad).cast("long"))
 
 
+for _f in (growth_certificate, growth_takeover_certificate, growth_mirrored_equals_edge, swap_certificate, betweenness_sampled):
+    _name = _f.__name__
+    query(SQL[_name].replace(catalog.SQL["shared_line"], catalog.SQL["shared_line_all"]) if _name in SQL else None, f"{_name}_line_all")(lambda spark, d, f=_f: f(spark, d, catalog.shared_line_all))
+
+
 # ------------------------------------------------------------ sweeps
 
 
 W2_FRACTIONS = (0.0, 0.01, 0.02, 0.05, 0.1, 0.2)
-W1_GRAPHS = ("copurchase_q", "activity_grid", "shared_line")
-W3_GRAPHS = ("copurchase_q", "cust_supp", "activity_grid", "shared_line")
+W1_GRAPHS = ("copurchase_q", "activity_grid", "shared_line", "shared_line_all")
+W3_GRAPHS = ("copurchase_q", "cust_supp", "activity_grid", "shared_line", "shared_line_all")
 SEEDS = range(5)
 
 
