@@ -3,7 +3,7 @@ and rewiring at constant size."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import portable_hash
@@ -97,40 +97,59 @@ def line_growth(g: EdgeGraph) -> DataFrame:
     return a.select("m", "line_edges", F.round(F.col("line_edges") / F.col("m"), 9).alias("line_growth"))
 
 
-def rewire(g: EdgeGraph, fraction: float, seed: int = 0) -> EdgeGraph:
-    """A graph of as many edges, a fraction of which keep one end and get another by hash.
+def _numbered(rows: DataFrame, order: Column, keys: tuple[str, ...], scratch: Scratch) -> DataFrame:
+    """rows with n = 0, 1, .. by a 60-bit hash; ranks come from counts of hash cells and a rank inside each."""
+    rows = scratch.store(rows.withColumn("h", order).withColumn("cell", F.shiftright("h", 50)))  # 1024 cells
+    count = rows.groupBy("cell").agg(F.count(F.lit(1)).alias("size"))
+    before = F.sum("size").over(Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1))
+    base = count.select("cell", F.coalesce(before, F.lit(0)).alias("before"))
+    rank = F.row_number().over(Window.partitionBy("cell").orderBy("h", *keys)) - 1
+    return scratch.store(rows.withColumn("rank", rank).join(F.broadcast(base), "cell").withColumn("n", F.col("before") + F.col("rank")).drop("h", "cell", "rank", "before"))
 
-    Proposals that would make a loop, a pair twice or a triangle, or that would take an edge of a triangle
-    away, are dropped and their edge stays: the number of triangles can only be what it was.
+
+def _sides(g: EdgeGraph, a: str, b: str) -> DataFrame:
+    """The edges that lie in a triangle."""
+    return triangle_list(g).select(F.explode(F.array(F.array("a", "b"), F.array("b", "c"), F.array("a", "c"))).alias("e")).select(F.array_min("e").alias(a), F.array_max("e").alias(b)).distinct()
+
+
+def rewire(g: EdgeGraph, fraction: float, seed: int = 0, most_turns: int = 20, exact: bool = False) -> EdgeGraph:
+    """A graph of as many edges, of which floor(fraction * m) keep one end and get another, any vertex, by hash.
+
+    Edges of triangles are not chosen. A proposal that would make a loop, a pair twice or a triangle is drawn
+    anew in the next turn, so the number of triangles can only be what it was. Edges without a valid end after
+    most_turns stay as they were, or with exact=True raise.
     """
     scratch = Scratch(g.spark, "rewire")
     edges = scratch.store(g.edges)
-    g = EdgeGraph(edges)
-    cell = 1 << 16
-    chosen = edges.where(F.pmod(portable_hash(seed, F.col("src"), F.col("dst")), F.lit(1_000_000)) < int(fraction * 1_000_000))
-    tri = triangle_list(g)
-    sides = tri.select(F.explode(F.array(F.array("a", "b"), F.array("b", "c"), F.array("a", "c"))).alias("e")).select(F.array_min("e").alias("src"), F.array_max("e").alias("dst")).distinct()
-    chosen = chosen.join(sides, ["src", "dst"], "left_anti")
-    # a random other end: the vertex that stands first in a hash cell drawn by the edge
-    places = g.vertices().select("vid", F.pmod(portable_hash(seed + 1, F.col("vid")), F.lit(cell)).alias("cell")).groupBy("cell").agg(F.min_by("vid", portable_hash(seed + 2, F.col("vid"))).alias("to"))
+    vertices = _numbered(EdgeGraph(edges).vertices(), portable_hash(seed + 1, F.col("vid")), ("vid",), scratch)
+    n, want = vertices.count(), int(fraction * edges.count())
+    free = edges.join(_sides(EdgeGraph(edges), "src", "dst"), ["src", "dst"], "left_anti")
+    chosen = _numbered(free, portable_hash(seed, F.col("src"), F.col("dst")), ("src", "dst"), scratch).where(F.col("n") < want).select("src", "dst")
     kept = F.when(F.pmod(portable_hash(seed + 3, F.col("src"), F.col("dst")), F.lit(2)) == 0, F.col("src")).otherwise(F.col("dst"))
-    n_cells = places.count()
-    ranked = places.withColumn("slot", F.pmod(portable_hash(seed + 4, F.col("to")), F.lit(max(1, n_cells))))
-    ranked = ranked.groupBy("slot").agg(F.min("to").alias("to"))
-    moved = chosen.select("src", "dst", kept.alias("keep"), F.pmod(portable_hash(seed + 5, F.col("src"), F.col("dst")), F.lit(max(1, n_cells))).alias("slot")).join(ranked, "slot")
-    moved = moved.where("keep != to").select("src", "dst", F.least("keep", "to").alias("ns"), F.greatest("keep", "to").alias("nd"))
-    moved = moved.join(edges.select(F.col("src").alias("ns"), F.col("dst").alias("nd")), ["ns", "nd"], "left_anti")
-    one = moved.groupBy("ns", "nd").agg(F.min(F.struct("src", "dst")).alias("old")).select("ns", "nd", "old.src", "old.dst")
-    one = scratch.store(one)
-    # what the whole exchange would close: drop every proposal that lies in a triangle afterwards
-    for _ in range(20):
-        after = scratch.store(edges.join(one.select("src", "dst"), ["src", "dst"], "left_anti").union(one.select("ns", "nd")))
-        closed = triangle_list(EdgeGraph(after)).select(F.explode(F.array(F.array("a", "b"), F.array("b", "c"), F.array("a", "c"))).alias("e")).select(F.array_min("e").alias("ns"), F.array_max("e").alias("nd")).distinct()
-        bad = scratch.store(one.join(closed, ["ns", "nd"], "left_semi"))
-        if not bad.limit(1).count():
-            return EdgeGraph(after)
-        one = scratch.store(one.join(bad.select("ns", "nd"), ["ns", "nd"], "left_anti"))
-    return EdgeGraph(edges)
+    now, todo = edges, scratch.store(chosen)
+    left = todo.count()
+    short = want - left  # where fewer edges than that lie outside triangles
+    for turn in range(most_turns):
+        if not left:
+            break
+        drawn = F.pmod(portable_hash(seed + 5 + turn, F.col("src"), F.col("dst")), F.lit(n))
+        moved = todo.select("src", "dst", kept.alias("keep"), drawn.alias("n")).join(vertices.withColumnRenamed("vid", "to"), "n").where("keep != to")
+        moved = moved.select("src", "dst", F.least("keep", "to").alias("ns"), F.greatest("keep", "to").alias("nd"))
+        # pairs of the graph as it was are not proposed, so a moved edge is one that was not there
+        for taken in (edges, now):
+            moved = moved.join(taken.select(F.col("src").alias("ns"), F.col("dst").alias("nd")), ["ns", "nd"], "left_anti")
+        one = scratch.store(moved.groupBy("ns", "nd").agg(F.min(F.struct("src", "dst")).alias("old")).select("ns", "nd", "old.src", "old.dst"))
+        while True:  # each pass drops a proposal or ends
+            after = scratch.store(now.join(one.select("src", "dst"), ["src", "dst"], "left_anti").union(one.select("ns", "nd")))
+            bad = scratch.store(one.join(_sides(EdgeGraph(after), "ns", "nd"), ["ns", "nd"], "left_semi"))
+            if not bad.limit(1).count():
+                break
+            one = scratch.store(one.join(bad.select("ns", "nd"), ["ns", "nd"], "left_anti"))
+        now, todo = after, scratch.store(todo.join(one.select("src", "dst"), ["src", "dst"], "left_anti"))
+        left = todo.count()
+    if exact and left + short:
+        raise RuntimeError(f"{left + short} of {want} edges are not rewired after {most_turns} turns")
+    return EdgeGraph(now)
 
 
 def all_in_one(g: EdgeGraph) -> EdgePartitioning:

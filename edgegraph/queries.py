@@ -297,7 +297,11 @@ def gain_nonnegative(spark, d):
 
 @query(f"with e as ({catalog.SQL['activity_grid']}) select count(*) n_edges, 0::bigint triangles, 0::bigint loops_or_twice from e")
 def rewire_certificate(spark, d):
-    g = topology.rewire(EdgeGraph(Scratch(spark, "graph").store(catalog.activity_grid(spark, d).edges)), 0.05, SEED)
+    base = EdgeGraph(Scratch(spark, "graph").store(catalog.activity_grid(spark, d).edges))
+    g = topology.rewire(base, 0.05, SEED, exact=True)
+    moved, want = g.edges.join(base.edges, ["src", "dst"], "left_anti").count(), int(0.05 * base.edges.count())
+    if moved != want:
+        raise RuntimeError(f"{moved} edges were moved instead of {want}")
     bad = g.edges.count() - g.edges.where("src < dst").distinct().count()
     return g.edges.agg(F.count(F.lit(1)).alias("n_edges")).withColumn("triangles", F.lit(topology.triangle_list(g).count())).withColumn("loops_or_twice", F.lit(bad).cast("long"))
 
@@ -324,7 +328,7 @@ def _giants(spark, d, names) -> dict[str, list[tuple[int, int]]]:
 def _rewired_grids(spark, d) -> dict[str, list[tuple[int, int]]]:
     base = experiments.giant_list(experiments.edge_list(catalog.activity_grid(spark, d)))
     g = EdgeGraph(Scratch(spark, "graph").store(spark.createDataFrame(base, "src long, dst long")))
-    return {f"rewired {f}": experiments.giant_list(experiments.edge_list(topology.rewire(g, f, SEED))) if f else base for f in W2_FRACTIONS}
+    return {f"rewired {f}": experiments.giant_list(experiments.edge_list(topology.rewire(g, f, SEED, exact=True))) if f else base for f in W2_FRACTIONS}
 
 
 def _rounded(runs):

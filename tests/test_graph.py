@@ -194,3 +194,14 @@ def test_frequent_lines_link_their_documents(spark, tmp_path):
     assert got == sorted([(7, i * 16 + 7) for i in range(1, 60)] + [(7 * 16 + 7, 9 * 16 + 7)])
     few = catalog.shared_line_all(spark, str(tmp_path), pairs_up_to=60).edges.count()
     assert few == 60 * 59 // 2
+
+
+def test_rewire_moves_the_fraction_asked_for(spark):
+    g = graph(spark, [(i, i + 1) for i in range(300)])
+    h = topology.rewire(g, 0.2, exact=True)
+    h.validate()
+    old, new = ({tuple(r) for r in x.edges.collect()} for x in (g, h))
+    assert len(new) == 300 and len(new - old) == len(old - new) == 60 and not topology.triangle_list(h).count()
+    full = graph(spark, [(i, j) for i in range(5) for j in range(i)])
+    with pytest.raises(RuntimeError):
+        topology.rewire(full, 0.5, exact=True)
