@@ -38,8 +38,8 @@ _COMPONENTS = "recursive {graph}, t(vid, c) using key (vid) as (select vid, vid
 _DISTANCE = "recursive {graph}, s as (select vid from deg order by {order}, vid limit {sources}), t(vid, d) using key (vid) as (select vid, 0 d from s union select h.b vid, min(t.d) + 1 d from t join h on h.a = t.vid left join recurring.t r on r.vid = h.b where r.vid is null or t.d + 1 < r.d group by h.b)"
 
 
-def _q(spark, d) -> EdgeGraph:
-    return EdgeGraph(Scratch(spark, "graph").store(catalog.copurchase_q(spark, d).edges))
+def _q(spark, d, rule=catalog.copurchase_q) -> EdgeGraph:
+    return EdgeGraph(Scratch(spark, "graph").store(rule(spark, d).edges))
 
 
 def _hashed(spark, d) -> EdgePartitioning:
@@ -58,23 +58,23 @@ def _profile_sql(graph: str) -> str:
             round(case when w - 2 * t3 / 3 > 0 then (t3 / 3) / (w - 2 * t3 / 3) else 0 end, 9) closed_share, round(2.0 * m / (n * (n - 1)), 12) random from g"""
 
 
-for _name in ("copurchase_q", "shared_line", "shared_line_all", "activity_grid", "event_lattice"):
+for _name in ("copurchase_q", "copurchase_all", "shared_line", "shared_line_all", "activity_grid", "event_lattice"):
     query(_profile_sql(_name), f"graph_profile_{_name}")(lambda spark, d, f=catalog.GRAPHS[_name]: topology.profile(EdgeGraph(Scratch(spark, "graph").store(f(spark, d).edges))))
 
 
 @query(f"with {_Q} select degree, count(*) n_vertices from deg group by degree")
-def degree_histogram(spark, d):
-    return catalog.copurchase_q(spark, d).degrees().groupBy("degree").agg(F.count(F.lit(1)).alias("n_vertices"))
+def degree_histogram(spark, d, rule=catalog.copurchase_q):
+    return rule(spark, d).degrees().groupBy("degree").agg(F.count(F.lit(1)).alias("n_vertices"))
 
 
 @query(f"with {_Q}, tri as (select x.src v1, x.dst v2, y.dst v3 from e x join e y on x.dst = y.src join e z on z.src = x.src and z.dst = y.dst), tv as (select vid, count(*) t from (select unnest([v1, v2, v3]) vid from tri) group by vid) select vid, coalesce(t, 0) triangles from deg left join tv using (vid)")
-def triangles_per_vertex(spark, d):
-    return topology.triangles(_q(spark, d))
+def triangles_per_vertex(spark, d, rule=catalog.copurchase_q):
+    return topology.triangles(_q(spark, d, rule))
 
 
 @query(f"with {_COMPONENTS.format(graph=_Q)}, big as (select c from t group by c order by count(*) desc, c limit 1) select vid from t join big using (c)")
-def giant_component_vertices(spark, d):
-    return topology.giant_component(_q(spark, d)).vertices()
+def giant_component_vertices(spark, d, rule=catalog.copurchase_q):
+    return topology.giant_component(_q(spark, d, rule)).vertices()
 
 
 @query(f"with {_SP}, deg as (select vid, count(*) g from (select unnest([src, dst]) vid from e) group by vid) select (sum(g) / 2)::bigint m, sum(g * (g - 1) / 2)::bigint line_edges, round(sum(g * (g - 1) / 2) / (sum(g) / 2), 9) line_growth from deg")
@@ -227,30 +227,30 @@ def _distance_sql(graph: str, sources: int = 1) -> str:
 
 
 @query(_distance_sql(_Q))
-def distances_engine(spark, d):
-    g = _q(spark, d)
+def distances_engine(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
     out = programs.distances(baselines.hash_edges(g, 8, SEED), baselines.pick_source(g, SEED))
     return out.states.select("vid", F.coalesce(F.col("value"), F.lit(-1)).cast("int").alias("dist"))
 
 
 @query(_distance_sql(_Q))
-def distances_engine_sql_local(spark, d):
-    g = _q(spark, d)
+def distances_engine_sql_local(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
     out = programs.distances(baselines.grid_hash_edges(g, 8, SEED), baselines.pick_source(g, SEED), local="sql")
     return out.states.select("vid", F.coalesce(F.col("value"), F.lit(-1)).cast("int").alias("dist"))
 
 
 @query(_distance_sql(_Q))
-def distances_vertex_rounds(spark, d):
-    g = _q(spark, d)
+def distances_vertex_rounds(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
     return baselines.vertex_rounds_distance(g, baselines.pick_source(g, SEED))[0].na.fill(-1, ["dist"])
 
 
 @query(_distance_sql(_Q, 3))
-def distances_multi_source(spark, d):
+def distances_multi_source(spark, d, rule=catalog.copurchase_q):
     from .functions import portable_hash
 
-    g = _q(spark, d)
+    g = _q(spark, d, rule)
     sources = [r["vid"] for r in g.vertices().orderBy(portable_hash(SEED, F.col("vid")), "vid").limit(3).collect()]
     return programs.distances(baselines.hash_edges(g, 8, SEED), sources).states.select("vid", F.coalesce(F.col("value"), F.lit(-1)).cast("int").alias("dist"))
 
@@ -270,8 +270,8 @@ def components_vertex_rounds(spark, d):
 
 
 @query(f"with {_Q} select count(*) n_vertices, 0::bigint linked, 0::bigint addable from deg")
-def mis_certificate(spark, d):
-    g = _q(spark, d)
+def mis_certificate(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
     chosen, _ = programs.maximal_independent_set(baselines.hash_edges(g, 8, SEED), SEED)
     side = lambda c: chosen.select(F.col("vid").alias(c), F.col("in_set").alias(f"in_{c}"))
     e = g.edges.join(side("src"), "src").join(side("dst"), "dst")
@@ -287,8 +287,8 @@ def betweenness_sampled(spark, d, rule=catalog.shared_line):
 
 
 @query("select true as not_negative")
-def gain_nonnegative(spark, d):
-    g = _q(spark, d)
+def gain_nonnegative(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
     source = baselines.pick_source(g, SEED)
     _, rounds = baselines.vertex_rounds_distance(g, source)
     out = programs.distances(baselines.hash_edges(g, 4, SEED), source)
@@ -311,6 +311,12 @@ for _f in (growth_certificate, growth_takeover_certificate, growth_mirrored_equa
     query(SQL[_name].replace(catalog.SQL["shared_line"], catalog.SQL["shared_line_all"]) if _name in SQL else None, f"{_name}_line_all")(lambda spark, d, f=_f: f(spark, d, catalog.shared_line_all))
 
 
+#: the same over all orders: the twins above are of one quarter
+for _f in (degree_histogram, triangles_per_vertex, giant_component_vertices, distances_engine, distances_engine_sql_local, distances_vertex_rounds, distances_multi_source, mis_certificate, gain_nonnegative):
+    _name = _f.__name__
+    query(SQL[_name].replace(catalog.SQL["copurchase_q"], catalog.SQL["copurchase_all"]), f"{_name}_all")(lambda spark, d, f=_f: f(spark, d, catalog.copurchase_all))
+
+
 # ------------------------------------------------------------ sweeps
 
 

@@ -205,3 +205,17 @@ def test_rewire_moves_the_fraction_asked_for(spark):
     full = graph(spark, [(i, j) for i in range(5) for j in range(i)])
     with pytest.raises(RuntimeError):
         topology.rewire(full, 0.5, exact=True)
+
+
+def test_whole_table_queries_see_orders_of_every_date(spark, tmp_path):
+    from datetime import datetime
+
+    orders = [(i, datetime(1992 + i, 6, 1)) for i in range(4)]
+    lines = [(i, p) for i in range(4) for p in (i, i + 1)]
+    spark.createDataFrame(orders, "o_orderkey long, o_orderdate timestamp_ntz").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    queries = __spark_entry__.queries()
+    assert sorted(map(tuple, queries["degree_histogram_all"](spark, str(tmp_path)).collect())) == [(1, 2), (2, 3)]
+    got = {r.vid: r.dist for r in queries["distances_engine_all"](spark, str(tmp_path)).collect()}
+    pairs = [(i * 16 + 4, i * 16 + 20) for i in range(4)]
+    assert got == bfs(pairs, baselines.pick_source(graph(spark, pairs)))
