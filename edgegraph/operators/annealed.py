@@ -1,7 +1,8 @@
 """Annealed swap: a vertex partitioner that swaps the parts of vertices, the baseline of the comparison.
 
-Parts start with as many vertices each. In a round every vertex proposes to swap parts with one partner, a
-neighbour or a vertex from a hash sample, where that brings both more neighbours of their own part;
+Parts start with as many vertices each. In a round every vertex proposes to swap parts with a neighbour and
+with a random vertex, by hash, where that brings both more neighbours of their own part; random partners
+are the vertices of a hash cell, and cells grow in number with the graph, so each vertex has one;
 proposals that are best for both sides are carried out together, so swaps never meet and the sizes of
 parts stay exactly as they were. The temperature first accepts swaps that bring less, and falls to 1.
 """
@@ -31,23 +32,35 @@ def start_parts(g: EdgeGraph, k: int, seed: int = 0) -> DataFrame:
     return v.join(F.broadcast(base), "cell").select("vid", F.pmod(F.col("before") + rank, F.lit(k)).cast("int").alias("part"))
 
 
-def annealed_swap(g: EdgeGraph, k: int, seed: int = 0, most_rounds: int = 40, alpha: float = 2.0, t0: float = 2.0, delta: float = 0.05) -> tuple[DataFrame, list[dict]]:
-    """(vid, part) and the history of rounds. Ends at temperature 1 when no swap is accepted, or after
-    most_rounds."""
+#: hash cells for n vertices: about two in each, so the random pairs of a round grow with the graph
+def n_cells(n: int) -> int:
+    return max(1, n // 2)
+
+
+#: rounds without a cap end when no swap is accepted; one that has not ended by then raises
+NEVER = 2000
+#: rounds without a swap that end a run
+QUIET = 2
+
+
+def annealed_swap(g: EdgeGraph, k: int, seed: int = 0, most_rounds: int | None = None, alpha: float = 2.0, t0: float = 2.0, delta: float = 0.05) -> tuple[DataFrame, list[dict]]:
+    """(vid, part) and the history of rounds. Ends at temperature 1 when no swap is accepted in QUIET rounds one
+    after the other, or after most_rounds where they are given (the last row of the history then has swaps)."""
     scratch = Scratch(g.spark, "annealed")
     half = scratch.store(g.half_edges().select("vid", "nbr"))
     parts = scratch.store(start_parts(g, k, seed), "parts")
-    history, t = [], t0
-    for i in range(most_rounds):
+    history, t, quiet, n = [], t0, 0, parts.count()
+    for i in range(NEVER if most_rounds is None else most_rounds):
         seen = half.join(parts.select(F.col("vid").alias("nbr"), F.col("part").alias("np")), "nbr").groupBy("vid", "np").agg(F.count(F.lit(1)).alias("n"))
         counts = seen.groupBy("vid").agg(F.map_from_entries(F.collect_list(F.struct("np", "n"))).alias("by"))  # k entries at most
         state = scratch.store(parts.join(counts, "vid"), "state")
         # partners: one neighbour by hash, and one vertex of a hash sample by a common cell
         turn = portable_hash(seed + 1 + i, F.col("vid"), F.col("nbr"))
         by_edge = half.groupBy("vid").agg(F.min_by("nbr", turn).alias("mate"))
-        cell = lambda c: F.pmod(portable_hash(seed + 7919 * (i + 1), F.col(c)), F.lit(64))
-        heads = state.select("vid", cell("vid").alias("cell")).groupBy("cell").agg(F.min_by("vid", portable_hash(seed - i - 1, F.col("vid"))).alias("mate"))  # 64 rows
-        by_sample = state.select("vid", cell("vid").alias("cell")).join(F.broadcast(heads), "cell").select("vid", "mate")
+        cell = F.pmod(portable_hash(seed + 7919 * (i + 1), F.col("vid")), F.lit(n_cells(n)))
+        # the next vertex of the cell, and the first after the last; cells hold a few vertices each
+        order = Window.partitionBy("cell").orderBy("vid")
+        by_sample = parts.select("vid", cell.alias("cell")).withColumn("mate", F.coalesce(F.lead("vid").over(order), F.first("vid").over(order))).select("vid", "mate")
         mates = by_edge.unionByName(by_sample).where("vid != mate")
         a = state.select("vid", F.col("part").alias("p"), F.col("by").alias("a"))
         b = state.select(F.col("vid").alias("mate"), F.col("part").alias("q"), F.col("by").alias("b"))
@@ -64,9 +77,13 @@ def annealed_swap(g: EdgeGraph, k: int, seed: int = 0, most_rounds: int = 40, al
         swaps = moves.count() // 2
         parts = scratch.store(parts.join(moves, "vid", "left").select("vid", F.coalesce("to", "part").alias("part")), "parts")
         history.append({"round": i + 1, "temperature": t, "swaps": swaps})
-        if t <= 1.0 and not swaps:
+        quiet = quiet + 1 if t <= 1.0 and not swaps else 0
+        if quiet == QUIET:
             break
         t = max(1.0, t - delta)
+    else:
+        if most_rounds is None:
+            raise RuntimeError(f"swaps go on after {NEVER} rounds")
     return parts, history
 
 
@@ -78,11 +95,15 @@ def swap_edges(g: EdgeGraph, k: int, seed: int = 0, **options) -> EdgePartitioni
     return p
 
 
-def simulate_swap(edges: list[tuple[int, int]], k: int, seed: int = 0, most_rounds: int = 350, alpha: float = 2.0, t0: float = 2.0, delta: float = 0.003) -> tuple[dict[tuple[int, int], int], int]:
-    """Owners of all edges by swaps one after the other, and the rounds, in one process (for sweeps)."""
-    import random
+def simulate_swap(edges: list[tuple[int, int]], k: int, seed: int = 0, most_rounds: int | None = 350, alpha: float = 2.0, t0: float = 2.0, delta: float = 0.003) -> tuple[dict[tuple[int, int], int], int]:
+    """Owners of all edges and the rounds of annealed_swap, in one process (for sweeps)."""
+    part, history = simulate_parts(edges, k, seed, most_rounds, alpha, t0, delta)
+    coin = lambda e: e[0] if portable_hash_py(seed, *e) % 2 == 0 else e[1]
+    return {e: part[coin(e)] for e in edges}, len(history)
+
 
-    rng = random.Random(seed)
+def simulate_parts(edges: list[tuple[int, int]], k: int, seed: int = 0, most_rounds: int | None = None, alpha: float = 2.0, t0: float = 2.0, delta: float = 0.05) -> tuple[dict[int, int], list[dict]]:
+    """The same as annealed_swap: parts of the vertices, and the history."""
     around: dict[int, list[int]] = {}
     for a, b in edges:
         around.setdefault(a, []).append(b)
@@ -93,28 +114,36 @@ def simulate_swap(edges: list[tuple[int, int]], k: int, seed: int = 0, most_roun
     for v in vs:
         for u in around[v]:
             count[v][part[u]] += 1
-    t = t0
-    for r in range(most_rounds):
-        swaps = 0
+    history, t, quiet = [], t0, 0
+    for i in range(NEVER if most_rounds is None else most_rounds):
+        cells: dict[int, list[int]] = {}
+        for v in sorted(vs):
+            cells.setdefault(portable_hash_py(seed + 7919 * (i + 1), v) % n_cells(len(vs)), []).append(v)
+        tries = {(min(v, u), max(v, u)) for c in cells.values() for v, u in zip(c, [*c[1:], c[0]]) if v != u}
         for v in vs:
-            p, best, at = part[v], 0.0, None
-            some = around[v] if len(around[v]) <= 3 else rng.sample(around[v], 3)
-            for u in [*some, *(vs[rng.randrange(len(vs))] for _ in range(3))]:
-                q = part[u]
-                if p != q and (gain := (count[v][q] ** alpha + count[u][p] ** alpha) * t - count[v][p] ** alpha - count[u][q] ** alpha) > best:
-                    best, at = gain, u
-            if at is not None:
-                q = part[at]
-                for x in around[v]:
-                    count[x][p] -= 1
-                    count[x][q] += 1
-                for x in around[at]:
-                    count[x][q] -= 1
-                    count[x][p] += 1
-                part[v], part[at] = q, p
-                swaps += 1
-        if t <= 1.0 and not swaps:
+            u = min(around[v], key=lambda u: portable_hash_py(seed + 1 + i, v, u)) if len(around[v]) > 1 else around[v][0]
+            tries.add((min(v, u), max(v, u)))
+        best: dict[int, tuple] = {}
+        for x, y in tries:
+            p, q = part[x], part[y]
+            if p != q and (gain := (float(count[x][q]) ** alpha + float(count[y][p]) ** alpha) * t - (float(count[x][p]) ** alpha + float(count[y][q]) ** alpha)) > 0:
+                value = (round(gain, 6), portable_hash_py(seed, x, y), x, y)
+                for v in (x, y):
+                    best[v] = max(best.get(v, value), value)
+        agreed = {b for b in best.values() if best[b[2]] == b == best[b[3]]}
+        for *_, x, y in agreed:
+            p, q = part[x], part[y]
+            for v, old, new in ((x, p, q), (y, q, p)):
+                for u in around[v]:
+                    count[u][old] -= 1
+                    count[u][new] += 1
+            part[x], part[y] = q, p
+        history.append({"round": i + 1, "temperature": t, "swaps": len(agreed)})
+        quiet = quiet + 1 if t <= 1.0 and not agreed else 0
+        if quiet == QUIET:
             break
         t = max(1.0, t - delta)
-    coin = lambda e: e[0] if portable_hash_py(seed, *e) % 2 == 0 else e[1]
-    return {e: part[coin(e)] for e in edges}, r + 1
+    else:
+        if most_rounds is None:
+            raise RuntimeError(f"swaps go on after {NEVER} rounds")
+    return part, history

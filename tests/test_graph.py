@@ -219,3 +219,15 @@ def test_whole_table_queries_see_orders_of_every_date(spark, tmp_path):
     got = {r.vid: r.dist for r in queries["distances_engine_all"](spark, str(tmp_path)).collect()}
     pairs = [(i * 16 + 4, i * 16 + 20) for i in range(4)]
     assert got == bfs(pairs, baselines.pick_source(graph(spark, pairs)))
+
+
+def test_swap_equals_its_simulation_and_many_pairs_swap(spark):
+    pairs = random_pairs(60, 120, 6)
+    edges = sorted({(min(e), max(e)) for e in pairs if e[0] != e[1]})
+    want, history = annealed.simulate_parts(edges, 3, 2, most_rounds=4, delta=0.5)
+    got, rows = annealed.annealed_swap(graph(spark, pairs), 3, 2, most_rounds=4, delta=0.5)
+    assert {r.vid: r.part for r in got.collect()} == want and rows == history
+    many = sorted({(min(e), max(e)) for e in random_pairs(3000, 6000, 7) if e[0] != e[1]})
+    assert annealed.simulate_parts(many, 8, most_rounds=1)[1][0]["swaps"] > 64
+    part, history = annealed.simulate_parts(edges, 3, 2)
+    assert [h["swaps"] for h in history[-annealed.QUIET :]] == [0] * annealed.QUIET
