@@ -24,10 +24,10 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts (white space apart) the row of the smallest doc_id; of rows repeated whole, one."""
+    """Of equal texts (white space apart) the row of the smallest doc_id; of rows repeated whole, and of equal texts
+    that all lack a doc_id, one."""
     kept = exact.exact_groups(docs, carry=COLUMNS[1:]).where("kept")
-    repeated = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and doc_id is not null").limit(1).count()
-    return (kept.dropDuplicates(["doc_id", "text_sha256"]) if repeated else kept).select(*COLUMNS)
+    return kept.dropDuplicates(["doc_id", "text_sha256"]).select(*COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -58,3 +58,13 @@ def test_chat_round_trip(spark):
 def test_escaped_text_holds_no_control_string(spark, text):
     row = spark.createDataFrame([(text,)], "t string").select(chat.escape(F.col("t")).alias("e"), chat.unescape(chat.escape(F.col("t"))).alias("u")).first()
     assert row.u == text and not re.search(r"</?s>|\[/?INST\]", row.e)
+
+
+def test_pipeline_keeps_one_of_equal_texts_without_id(spark):
+    import corpus_pipeline
+
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    rows = [(None, "same text", "en", "a", 9), (None, "same text", "en", "b", 9), (None, "another", "en", "a", 7), (1, "third", "en", "a", 5)]
+    for more in ([], [(1, "third", "en", "a", 5)]):
+        got = corpus_pipeline.drop_copies(spark, spark.createDataFrame(rows + more, schema), "").collect()
+        assert sorted((r.doc_id or 0, r.text) for r in got) == [(0, "another"), (0, "same text"), (1, "third")]
