@@ -31,6 +31,13 @@ def _source(spark: SparkSession, d: str, files: int = 4) -> tuple[DataFrame, Scr
     return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{scratch.path}/in"), scratch
 
 
+def _span(spark: SparkSession, d: str) -> int:
+    """Seconds from the first event to the last, rounded up."""
+    ts = F.col("ts").cast("timestamp")
+    first, last = spark.read.parquet(f"{d}/events.parquet").agg(F.unix_seconds(F.min(ts)), F.unix_seconds(F.max(ts))).first()
+    return 1 if first is None else last - first + 1
+
+
 def _drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each=None) -> DataFrame:
     """All that a stream yields, through a file sink (or each(batch, id)) until its source is exhausted."""
     spark, out = stream.sparkSession, f"{scratch.path}/out-{uuid.uuid4().hex}"
@@ -71,15 +78,16 @@ def op_stream_session(spark, d):
 @query("select distinct user_id, event_type from events")
 def op_stream_dedupe(spark, d):
     s, scratch = _source(spark, d)
-    rows = s.withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type")
+    rows = s.select("user_id", "event_type").dropDuplicates()  # no bound: its state is the result
     return _drain(rows, scratch)
 
 
 @query("select c.event_id click, p.event_id purchase from events c join events p on c.user_id = p.user_id and c.event_type = 'click' and p.event_type = 'purchase' and p.ts >= c.ts and p.ts <= c.ts + interval 1 hour")
 def op_stream_join(spark, d):
     s, scratch = _source(spark, d)
-    c = s.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("cu"), F.col("ts").alias("ct")).withWatermark("ct", "60 days")
-    p = s.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pt")).withWatermark("pt", "60 days")
+    delay = f"{_span(spark, d)} seconds"  # no row is further behind, in whatever order files arrive
+    c = s.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("cu"), F.col("ts").alias("ct")).withWatermark("ct", delay)
+    p = s.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pt")).withWatermark("pt", delay)
     rows = c.join(p, F.expr("cu = pu and pt >= ct and pt <= ct + interval 1 hour")).select("click", "purchase")
     return _drain(rows, scratch)
 
