@@ -102,3 +102,19 @@ def repeats(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted distinct keys, each item's place among them, and how often each occurs."""
     uniq, inverse, count = np.unique(keys, return_inverse=True, return_counts=True)
     return uniq, inverse.reshape(-1), count
+
+
+def repeats_wide(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """repeats() for 128-bit keys: rows of two halves, sorted by the first and then by the second."""
+    order = np.argsort(keys[:, 0], kind="stable")
+    first = keys[order, 0]
+    same = first[1:] == first[:-1]
+    if (same & (keys[order[1:], 1] != keys[order[:-1], 1])).any():
+        order = np.lexsort((keys[:, 1], keys[:, 0]))
+    ranked = keys[order]
+    new = np.ones(len(keys), dtype=bool)
+    new[1:] = (ranked[1:] != ranked[:-1]).any(axis=1)
+    place = np.empty(len(keys), dtype=np.int64)
+    place[order] = np.cumsum(new) - 1
+    at = np.flatnonzero(new)
+    return ranked[at], place, np.diff(np.append(at, len(keys)))

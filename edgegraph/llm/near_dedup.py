@@ -28,16 +28,16 @@ from pyspark.sql import functions as F
 
 from .exact import shared_folder
 from .links import components, roots, store
-from .rolling import Prefix, mix, text_bytes, words
+from .rolling import Prefix, digest, joined, mix, text_bytes, words
 
 _U = np.uint64
 _STEP = _U(0xD1342543DE82EF95)
 
 
-def shingles(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(document, hash, count) of the distinct shingles of each row, sorted; the hash of each row's word
-    sequence, and its number of words. A row of fewer words than width has one shingle of them all."""
-    starts, ends, first = words(data, off)
+def shingles(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, tuple]:
+    """(document, hash, count) of the distinct shingles of each row, sorted, and where the words stand (see
+    words()). A row of fewer words than width has one shingle of them all."""
+    found = starts, ends, first = words(data, off)
     sums = Prefix(Prefix.of_bytes(data).at(starts, ends))
     n = np.diff(first)
     doc = np.repeat(np.arange(len(n)), n)
@@ -52,7 +52,7 @@ def shingles(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndarray,
     new[1:] = (key[1:] != key[:-1]) | (who[1:] != who[:-1])
     places = np.flatnonzero(new)
     count = np.diff(np.append(places, len(key)))
-    return who[places], key[places], count, sums.at(first[:-1], first[1:]), n
+    return who[places], key[places], count, found
 
 
 def signatures(who: np.ndarray, key: np.ndarray, weight: np.ndarray, rows: int, registers: int) -> np.ndarray:
@@ -201,18 +201,20 @@ def _slices(table, size: int):
 
 
 def sketch(docs: DataFrame, width: int, bands: int, rows: int, slice_bytes: int) -> DataFrame:
-    """(doc_id, seq, again, keys): hash of the word sequence, a second one, and the band keys."""
+    """(doc_id, seq, again, keys): 128 bits of the SHA-256 of the words joined by one space, and the band keys."""
 
     def run(batches):
         for batch in batches:
             for part, data, off in _slices(batch, slice_bytes):
-                who, key, weight, seq, n = shingles(data, off, width)
+                who, key, weight, (starts, ends, first) = shingles(data, off, width)
+                n = np.diff(first)
+                spaced, into = joined(data, starts, ends)
+                seq, again = digest(memoryview(spaced), into[first[:-1]], np.maximum(into[first[1:]] - 1, into[first[:-1]])).T.copy()
                 z = signatures(who, key, weight.astype(float), len(n), bands * rows).reshape(len(n), bands, rows)
                 keys = np.full((len(n), bands), 0, dtype=np.uint64)
                 keys += np.arange(1, bands + 1, dtype=np.uint64) * _STEP
                 for r in range(rows):
                     keys = mix(keys ^ z[:, :, r])
-                again = mix(keys[:, 0] ^ n.astype(np.uint64)) if bands else seq
                 ends = np.concatenate(([0], np.where(n > 0, bands, 0).cumsum())).astype(np.int32)
                 flat = pa.ListArray.from_arrays(ends, keys[n > 0].reshape(-1).view(np.int64))
                 yield pa.RecordBatch.from_arrays([part["doc_id"], pa.array(seq.view(np.int64)), pa.array(again.view(np.int64)), flat], ["doc_id", "seq", "again", "keys"])

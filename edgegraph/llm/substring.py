@@ -6,10 +6,10 @@
    *hit* when some other place of the corpus has its words. A probe travels as four bytes (the rest of
    its hash is the board it is sent to), so that probing all places costs less than the text itself.
 3. *extend*: hits are extended to all windows of ``width`` words that hold one; runs of such windows
-   are the maximal repeats. Each window is compared by its 64-bit hash with those of all documents, and
-   a word goes if a window over it also starts in a document of smaller id. The smallest document is
-   found by the window and not by pairs of documents, so a passage in n documents costs n entries and
-   never n * n.
+   are the maximal repeats. Hashes only find the hits; each window over one is compared with those of
+   all documents by 128 bits of the SHA-256 of its words, and a word goes if a window over it also starts
+   in a document of smaller id. The smallest document is found by the window and not by pairs of
+   documents, so a passage in n documents costs n entries and never n * n.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import board as B
-from .rolling import Prefix, covered, text_bytes, words
+from .rolling import Prefix, covered, digest, joined, text_bytes, words
 
 _BLOCK, _WINDOW = 0, 1
 _NO_ID = np.iinfo(np.int64).min
@@ -53,7 +53,7 @@ class _Words:
         return uniq, place, np.bincount(place, weights=self.aligned, minlength=len(uniq)) > 0, count >= 2
 
     def windows(self, table: pa.Table, boards: int) -> tuple[np.ndarray, np.ndarray]:
-        """Starts of the windows that hold a hit, and their hashes."""
+        """Starts of the windows that hold a hit, and the digests of their words."""
         uniq, place, _, _ = self.questions()
         (hot,) = B.answers(table, _BLOCK, uniq, boards, 1)
         hits = np.zeros(len(self.starts) + 1, dtype=np.int64)
@@ -61,7 +61,8 @@ class _Words:
         np.cumsum(hits, out=hits)
         at = np.flatnonzero(self.left >= self.width)
         at = at[hits[at + self.width - self.block + 1] > hits[at]]
-        return at, self.sums.at(at, at + self.width)
+        self.spaced, self.into = joined(self.data, self.starts, self.ends)
+        return at, digest(memoryview(self.spaced), self.into[at], self.into[at + self.width] - 1)
 
 
 def _blocks_answer(_: int, parts: list) -> list[list[np.ndarray]]:
@@ -73,7 +74,7 @@ def _blocks_answer(_: int, parts: list) -> list[list[np.ndarray]]:
 
 def _window_body(keys: np.ndarray, ids: np.ndarray, boards: int, chunk: int):
     """Sorted distinct windows with the smallest id of this chunk: the ids once, each key with its place among them."""
-    at = B.cuts(keys, boards)
+    at = B.cuts(keys[:, 0], boards)
     for b in np.flatnonzero(np.diff(at)):
         lo, hi = at[b], at[b + 1]
         used, place = np.unique(ids[lo:hi], return_inverse=True)
@@ -85,9 +86,9 @@ def _windows_answer(_: int, parts: list) -> list[list[np.ndarray]]:
     for _, n, body in parts:
         m = int(np.frombuffer(body, dtype=np.uint32, count=1)[0])
         used = np.frombuffer(body, dtype=np.int64, count=m, offset=4)
-        keys.append(np.frombuffer(body, dtype=np.uint64, count=n, offset=4 + 8 * m))
-        ids.append(used[np.frombuffer(body, dtype=np.uint16 if m <= 65535 else np.uint32, count=n, offset=4 + 8 * m + 8 * n)])
-    uniq, place, _ = B.repeats(np.concatenate(keys))
+        keys.append(np.frombuffer(body, dtype=np.uint64, count=2 * n, offset=4 + 8 * m).reshape(-1, 2))
+        ids.append(used[np.frombuffer(body, dtype=np.uint16 if m <= 65535 else np.uint32, count=n, offset=4 + 8 * m + 16 * n)])
+    uniq, place, _ = B.repeats_wide(np.concatenate(keys))
     own = np.concatenate(ids)
     least = np.full(len(uniq), np.iinfo(np.int64).max)
     np.minimum.at(least, place, own)
@@ -120,7 +121,7 @@ def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None
 
     def smallest(w: _Words, at: np.ndarray, keys: np.ndarray, column) -> tuple:
         ids = np.asarray(column.fill_null(_NO_ID), dtype=np.int64)[w.doc[at]]
-        uniq, place, _ = B.repeats(keys)
+        uniq, place, _ = B.repeats_wide(keys)
         least = np.full(len(uniq), np.iinfo(np.int64).max)
         np.minimum.at(least, place, ids)
         return uniq, place, least, ids
@@ -137,7 +138,7 @@ def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None
         w = _Words(left, block, width)
         at, keys = w.windows(right, probe_boards)
         uniq, place, least, ids = smallest(w, at, keys, left["doc_id"])
-        (elsewhere,) = B.answers(right, _WINDOW, uniq, window_boards, 1)
+        (elsewhere,) = B.answers(right, _WINDOW, uniq[:, 0], window_boards, 1)
         gone = covered(at[elsewhere[place] | (least[place] < ids)], width, len(w.starts))
         out = _finish(left["doc_id"], w, gone, digest)
         for c in carry:
@@ -154,15 +155,7 @@ def repeated_passages(docs: DataFrame, width: int = 50, block: int | None = None
 def _finish(ids, w: _Words, gone: np.ndarray, digest: bool) -> pa.Table:
     """The kept words of each row joined by one space, written into one buffer for the whole chunk."""
     keep = np.flatnonzero(~gone)
-    size = w.ends[keep] - w.starts[keep] + 1  # with a space after each
-    into = np.concatenate(([0], np.cumsum(size)))
-    out = np.full(into[-1], 0x20, dtype=np.uint8)
-    # each byte of a kept word moves by the same distance as its word
-    flag = np.zeros(len(w.data) + 1, dtype=np.int8)
-    flag[w.starts[keep]] += 1
-    flag[w.ends[keep]] -= 1
-    source = np.flatnonzero(np.cumsum(flag[:-1], dtype=np.int8))
-    out[source + np.repeat(into[:-1] - w.starts[keep], size - 1)] = w.data[source]
+    out, into = joined(w.data, w.starts[keep], w.ends[keep])
     kept = np.concatenate(([0], np.cumsum(~gone)))[w.first]
     n = np.diff(w.first)
     bounds = into[kept]
