@@ -5,7 +5,9 @@ bytes and each pair of neighbours is *compatible*: merging the bytes of both tog
 two. So an encoder needs no merge loop over the text. It takes the longest token at a place, checks it
 against the token before it in the table of pairs, falls back to the next shorter match where the pair
 is not compatible, and gives up a place for good when nothing fits there. Each place is left at most
-once, which makes it linear. The table of pairs is filled by plain merging when a pair is first met.
+once, which makes it linear. An entry of the table of pairs is made when the pair is first met, from the
+edges of both tokens: the parts that stand at the right edge of the left one and at the left edge of the
+right one while they are put together, and whether any merge joins two of these before they are taken up.
 
 Encoded pieces are kept in bounded tables. A piece is what stands between two single spaces; such
 spaces always begin a pre-token, so pieces are independent of their neighbours.
@@ -37,6 +39,8 @@ _WIDE_PATTERN = regex.compile(PATTERN)
 #: A space beside white space, or white space at an end: there the pieces between spaces hang together.
 _JOINED = re.compile(r" [\t-\r \x85\xa0  -     　]|[\t-\r \x85\xa0  -     　] |\s\Z|\A\s")
 
+_LONG_RUN = re.compile(r"\s{5000}")
+
 
 def printable_bytes() -> dict[str, int]:
     """The characters that stand for the 256 bytes in such vocabularies: visible Latin-1 characters
@@ -89,6 +93,7 @@ class ByteBPE:
             self.matcher.add_word(t, i)
         self.matcher.make_automaton()
         self.token_length = {i: len(t) for i, t in self.token_of.items()}
+        self.most = max(map(len, self.single))  # no match is longer
         self.shorter = _Bounded(self._next_shorter, 1 << 20)
         self.pairs = _Bounded(self._compatible, 1_000_000)
         self.pretokens = _Bounded(self._pretoken, cache)
@@ -162,7 +167,7 @@ class ByteBPE:
         """Ids of one pre-token, given with one character a byte."""
         if text in self.single:
             return [self.single[text]]
-        n, pairs, shorter, length, matches = len(text), self.pairs, self.shorter, self.token_length, self.matcher.iter_long
+        n, pairs, shorter, length, matches, most = len(text), self.pairs, self.shorter, self.token_length, self.matcher.iter_long, self.most
         given_up = None
         tokens: list[int] = []
         before, here = -1, 0
@@ -175,7 +180,7 @@ class ByteBPE:
                 if here == n:
                     return tokens
                 before = token
-                token = next(longest)[1] if longest is not None else next(matches(text, here))[1]
+                token = next(longest)[1] if longest is not None else next(matches(text[here : here + most]))[1]
                 continue
             longest = None
             token = shorter[token]
@@ -263,7 +268,8 @@ def library_encoder(path: str):
     import tiktoken
 
     compiled = tiktoken.Encoding("file", pat_str=PATTERN.replace(r"\p{White_Space}", r"\s").replace(r"\P{White_Space}", r"\S"), mergeable_ranks=ranks, special_tokens=bpe.special)
-    return lambda text: compiled.encode_to_numpy(text, allowed_special="all")
+    # that library refuses runs of white space from some 10**5 signs on: they go to the other encoder
+    return lambda text: np.frombuffer(bpe.encode(text), dtype="<u4") if _LONG_RUN.search(text) else compiled.encode_to_numpy(text, allowed_special="all")
 
 
 def texts_of(batch: pa.RecordBatch, size: int = 256) -> Iterator[tuple[pa.RecordBatch, list[str]]]:

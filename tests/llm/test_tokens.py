@@ -1,5 +1,7 @@
 """Encoder, counts and packing against the tokenizers library."""
 
+import hashlib
+
 import random
 import zlib
 from collections import defaultdict
@@ -112,3 +114,32 @@ def test_null_and_repeated_rows(spark):
     table = spark.createDataFrame([(5, None), (5, ""), (5, "a b"), (5, "a b")], "doc_id long, text string")
     got = packing.pack(table, PATH, size=4).agg(F.sum("length")).first()[0]
     assert got == 1 + 1 + 3 + 3
+
+
+LONG = [" " * 1_000_000, "\n" * 1_000_000, " \n" * 300_000, "a" * 100_000, "7" * 200_000, "\u3000" * 50_000, "x" + " " * 150_000 + "y", "!" * 100_000]
+
+
+def test_very_long_runs_match_the_library(spark, library):
+    """Operators 1, 2 and 4 on texts that are one run of a kind."""
+    own, fast, count = bpe.load(PATH), bpe.library_encoder(PATH), token_counts.counter(PATH)
+    for t in LONG:
+        want = library.encode(t, add_special_tokens=False).ids
+        assert np.frombuffer(own.encode(t), dtype="<u4").tolist() == want == fast(t).tolist() and count(t) == len(want)
+    table = spark.createDataFrame(list(enumerate(LONG[:3])), "doc_id long, text string")
+    assert packing.pack(table, PATH).agg({"length": "sum"}).first()[0] == sum(len(fast(t)) + 1 for t in LONG[:3])
+
+
+def test_empty_tables(spark):
+    none = spark.createDataFrame([], "doc_id long, text string")
+    assert packing.pack(none, PATH).count() == 0 and token_counts.token_counts(none, PATH).count() == 0
+    assert bpe.encode(none, PATH).count() == 0 and bpe.decode(bpe.encode(none, PATH), PATH).count() == 0
+
+
+def test_round_trip_matches_the_library(spark, library):
+    rows, table = docs(spark)
+    want = []
+    for d, t in rows:
+        ids = library.encode(t or "", add_special_tokens=False).ids
+        sha = lambda x: hashlib.sha256(x).hexdigest()
+        want.append((d, len(ids), sha(np.array(ids, dtype="<u4").tobytes()), sha(library.decode(ids, skip_special_tokens=False).encode())))
+    assert sorted(map(tuple, bpe.round_trip(table, PATH).collect()), key=str) == sorted(want, key=str)
