@@ -22,6 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import _Bounded, texts_of
+from .exact import shared_folder
+from .links import store
 
 _FOLD = re.compile(r"(.)\1+")
 _LINE_FACTS = 5
@@ -33,8 +35,8 @@ def _kind(c: str) -> str:
 
 
 def shape(word: str) -> str:
-    """A word with its letters by case, digits as 9 and runs of one sign folded; at most 8 signs."""
-    return _FOLD.sub(r"\1", "".join(map(_kind, word)))[:8]
+    """A word with its letters by case, digits as 9 and runs of one sign folded."""
+    return _FOLD.sub(r"\1", "".join(map(_kind, word)))
 
 
 def _facts(text: str, words: list[str]) -> list[str]:
@@ -44,7 +46,7 @@ def _facts(text: str, words: list[str]) -> list[str]:
     lines = text.split("\n")
     step = lambda x: int(min(1.0, x) * _BINS)
     return [
-        f"\nrepeated words {step(1 - len(set(words)) / len(words)) if len(words) < 400 else 'long'}",
+        f"\nrepeated words {step(1 - len(set(words)) / len(words))}",
         f"\nrepeated lines {step(1 - len(set(lines)) / len(lines))}",
         f"\nword length {step(len(text) / len(words) / 24)}",
         f"\nline length {min(_BINS, int(np.log2(1 + len(words) / len(lines))))}",
@@ -99,22 +101,30 @@ class Model:
         return np.clip((vote + 1e-3 * self.prior) / (total + 1e-3), 0.0, 1.0)
 
 
-def fit(texts: list[str], labels: list[float], terms: int = 3000, dims: int = 48, neighbours: int = 15, sharpness: float = 8.0, seed: int = 5) -> Model:
-    """The model of labelled texts, on the driver."""
-    frequency: dict[str, int] = {}
-    for text in texts:
-        words = text.split()
-        for t in {*words, *("\t" + shape(w) for w in set(words)), *_facts(text, words)}:
-            frequency[t] = frequency.get(t, 0) + 1
-    often = sorted((t for t, n in frequency.items() if n >= max(2, len(texts) // 200)), key=lambda t: (-frequency[t], t))[:terms]
+def terms_of(text: str) -> set[str]:
+    words = text.split()
+    return {*words, *("\t" + shape(w) for w in set(words)), *_facts(text, words)}
+
+
+def _untrained(often: list[tuple[str, int]], labels: list[float], neighbours: int, sharpness: float) -> Model:
     prior = float(np.mean(labels)) if len(labels) else 0.5
-    model = Model({t: i + 1 for i, t in enumerate(often)}, np.zeros(0), np.zeros(0), np.zeros(0), np.asarray(labels, dtype=np.float64), neighbours, sharpness, prior)
-    n = len(often) + 1
-    model.idf = np.log((1 + len(texts)) / (1 + np.array([0, *(frequency[t] for t in often)]))).astype(np.float32) + 0.1
-    x = np.log1p(model.counts(texts)) * model.idf if texts else np.zeros((0, n), dtype=np.float32)
+    model = Model({t: i + 1 for i, (t, _) in enumerate(often)}, np.zeros(0), np.zeros(0), np.zeros(0), np.asarray(labels, dtype=np.float64), neighbours, sharpness, prior)
+    model.idf = np.log((1 + len(labels)) / (1 + np.array([0, *(n for _, n in often)]))).astype(np.float32) + 0.1
+    return model
+
+
+def _least(n: int) -> int:
+    """In how many of n texts a term must stand."""
+    return max(2, n // 200)
+
+
+def _train(model: Model, counts: np.ndarray, dims: int, seed: int) -> Model:
+    """The latent space, from the term counts of the labelled texts, and their vectors in it."""
+    x = np.log1p(counts) * model.idf
     x /= np.maximum(np.sqrt((x * x).sum(axis=1, keepdims=True)), 1e-12)
     # randomised truncated singular value decomposition
-    k = max(1, min(dims, n, max(1, len(texts))))
+    n = x.shape[1]
+    k = max(1, min(dims, n, max(1, len(x))))
     basis = np.linalg.qr(np.random.default_rng(seed).standard_normal((n, k + 8)).astype(np.float32))[0]
     for _ in range(4):
         basis = np.linalg.qr(x.T @ (x @ basis))[0]
@@ -126,22 +136,55 @@ def fit(texts: list[str], labels: list[float], terms: int = 3000, dims: int = 48
     return model
 
 
+def fit(texts: list[str], labels: list[float], terms: int = 3000, dims: int = 48, neighbours: int = 15, sharpness: float = 8.0, seed: int = 5) -> Model:
+    """The model of labelled texts, all on one machine."""
+    frequency: dict[str, int] = {}
+    for text in texts:
+        for t in terms_of(text):
+            frequency[t] = frequency.get(t, 0) + 1
+    often = sorted(((t, n) for t, n in frequency.items() if n >= _least(len(texts))), key=lambda t: (-t[1], t[0].encode()))[:terms]
+    model = _untrained(often, labels, neighbours, sharpness)
+    return _train(model, model.counts(texts) if texts else np.zeros((0, len(often) + 1), dtype=np.float32), dims, seed)
+
+
 def held_out(doc_id) -> F.Column:
     """Rows that no labels are learned from: crc32 of the doc_id as text, modulo 4, is 2. Null: not held out."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
-def fit_on(docs: DataFrame, labels: DataFrame, sample: int = 2500, **options) -> Model:
-    """Fits on at most ``sample`` labelled documents that are not held out, chosen by a hash of their id.
+def fit_on(docs: DataFrame, labels: DataFrame, sample: int = 2500, terms: int = 3000, dims: int = 48, neighbours: int = 15, sharpness: float = 8.0, seed: int = 5) -> Model:
+    """fit() on at most ``sample`` labelled documents that are not held out, chosen by a hash of their id.
 
     Rows of labels without id or quality are left out; labels given twice count by their mean, and texts
-    of one id given twice all count.
+    of one id given twice all count. Texts stay with the executors: the driver gets the ``terms`` most
+    frequent terms and, for each document of the sample, the counts of these.
     """
     known = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isNotNull() & ~held_out(F.col("doc_id")))
     known = known.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.avg("quality").alias("label")).orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(sample)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).join(F.broadcast(known), "doc_id")
-    chosen = sorted((r["doc_id"], r["text"], r["label"]) for r in rows.orderBy(F.md5("text"), "doc_id").limit(sample).toLocalIterator())
-    return fit([t for _, t, _ in chosen], [x for _, _, x in chosen], **options)
+    chosen = store(rows.orderBy(F.md5("text"), "doc_id").limit(sample).repartition(min(sample, 32)), f"{shared_folder(docs.sparkSession, 'quality')}/sample")
+
+    def met(batches):
+        for batch in batches:
+            for _, texts in texts_of(batch):
+                yield pa.RecordBatch.from_arrays([pa.array([t for text in texts for t in terms_of(text)], pa.string())], ["term"])
+
+    n = chosen.count()
+    often = chosen.select("text").mapInArrow(met, "term string").groupBy("term").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= _least(n)).orderBy(F.desc("n"), "term").limit(terms).collect()
+    bare = _untrained([(r["term"], r["n"]) for r in often], [], neighbours, sharpness)
+
+    def counted(batches):
+        for batch in batches:
+            for part, texts in texts_of(batch):
+                x = bare.counts(texts)
+                at = [np.flatnonzero(row) for row in x]
+                yield pa.RecordBatch.from_arrays([part["doc_id"], part["label"], pa.array(at, pa.list_(pa.int32())), pa.array([row[i] for row, i in zip(x, at, strict=True)], pa.list_(pa.float32()))], ["doc_id", "label", "places", "counts"])
+
+    found = sorted(tuple(r) for r in chosen.mapInArrow(counted, "doc_id long, label double, places array<int>, counts array<float>").collect())
+    counts = np.zeros((len(found), len(often) + 1), dtype=np.float32)
+    for row, (_, _, places, values) in zip(counts, found, strict=True):
+        row[places] = values
+    return _train(_untrained([(r["term"], r["n"]) for r in often], [r[1] for r in found], neighbours, sharpness), counts, dims, seed)
 
 
 def quality_scores(docs: DataFrame, model: Model, threshold: float = 0.7, carry: tuple[str, ...] = ()) -> DataFrame:

@@ -52,3 +52,28 @@ def test_odd_texts_and_no_labels(spark):
     got = quality.quality_scores(docs, model, carry=("score",)).collect()
     assert len(got) == 5 and all(0 <= r[2] <= 1 for r in got)
     assert quality.quality_scores(docs.limit(0), model).count() == 0
+
+
+def test_votes_match_brute_force(spark):
+    """Every score against all labelled vectors one by one, and the fit against the fit on one machine."""
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = quality.fit_on(docs, labels)
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    known = sorted((r.doc_id, texts[r.doc_id], r.quality) for r in labels.collect() if zlib.crc32(str(r.doc_id).encode()) % 4 != 2)
+    alone = quality.fit([t for _, t, _ in known], [float(q) for _, _, q in known])
+    assert alone.vocabulary == model.vocabulary and np.allclose(alone.idf, model.idf) and alone.prior == model.prior
+    got = {r.doc_id: r.score for r in quality.quality_scores(docs, model).collect()}
+    for d in sorted(texts)[::7]:
+        v = model.embed([texts[d]])[0]
+        near = sorted(((float(v @ w), float(y)) for w, y in zip(model.vectors, model.labels)), reverse=True)[: model.neighbours]
+        weight = [max(c, 0.0) ** model.sharpness for c, _ in near]
+        want = (sum(w * y for w, (_, y) in zip(weight, near)) + 1e-3 * model.prior) / (sum(weight) + 1e-3)
+        assert abs(got[d] - want) < 1e-3
+        assert abs(got[d] - alone.score([texts[d]])[0]) < 0.05
+
+
+def test_shapes_and_facts_hold_for_any_length():
+    assert quality.shape("Aa9!" * 5) == "Aa9!" * 5
+    few, many = (quality._facts(t, t.split())[0] for t in ("a b " * 30, "a b " * 3000))
+    assert few.startswith("\nrepeated words 1") and many.startswith("\nrepeated words 1")
