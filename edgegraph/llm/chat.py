@@ -51,17 +51,27 @@ def parse(formatted: Column) -> Column:
     return F.transform(_raw(formatted), _read)
 
 
+def loss_parts(formatted: Column) -> Column:
+    """For each turn: the code points before its text, whether the text is under the loss mask (the
+    assistant's are), and the text as it stands in the string, escaped."""
+
+    def one(part: Column) -> Column:
+        head = F.instr(part, HEAD) + (len(HEAD) - 1)
+        return F.struct(head.alias("head"), (_read(part)["role"] == "assistant").alias("loss"), F.substr(part, head + 1).alias("text"))
+
+    return F.transform(_raw(formatted), one)
+
+
 def loss_spans(formatted: Column) -> Column:
-    """Array of (start, length) in code points, from 0: the texts of the assistant, as escaped."""
+    """Array of (start, length) in code points, from 0: the texts under the loss mask, as escaped."""
     zero = F.struct(F.lit(len(BEGIN)).alias("at"), F.expr("cast(array() as array<struct<start: int, length: int>>)").alias("spans"))
 
     def add(acc: Column, part: Column) -> Column:
-        head = F.instr(part, HEAD) + (len(HEAD) - 1)
-        span = F.struct((acc["at"] + head).cast("int").alias("start"), (F.length(part) - head).cast("int").alias("length"))
-        mine = _read(part)["role"] == "assistant"
-        return F.struct((acc["at"] + F.length(part) + len(CLOSE)).cast("int").alias("at"), F.when(mine, F.concat(acc["spans"], F.array(span))).otherwise(acc["spans"]).alias("spans"))
+        start = acc["at"] + part["head"]
+        span = F.struct(start.cast("int").alias("start"), F.length(part["text"]).alias("length"))
+        return F.struct((start + F.length(part["text"]) + len(CLOSE)).cast("int").alias("at"), F.when(part["loss"], F.concat(acc["spans"], F.array(span))).otherwise(acc["spans"]).alias("spans"))
 
-    return F.aggregate(_raw(formatted), zero, add, lambda acc: acc["spans"])
+    return F.aggregate(loss_parts(formatted), zero, add, lambda acc: acc["spans"])
 
 
 def format_conversations(conversations: DataFrame) -> DataFrame:
@@ -85,9 +95,9 @@ def format_conversations(conversations: DataFrame) -> DataFrame:
 def read_back(formatted: DataFrame) -> DataFrame:
     """Digests of what the formatted strings hold: turns, and the text under the loss mask."""
     turns = F.col("turns")
-    loss = F.array_join(F.transform(F.filter(turns, lambda t: t["role"] == "assistant"), lambda t: t["text"]), "")
+    loss = F.array_join(F.transform(F.filter("parts", lambda t: t["loss"]), lambda t: unescape(t["text"])), "")
     flat = F.array_join(F.transform(turns, lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    read = formatted.select("conv_id", parse(F.col("formatted")).alias("turns"), F.length("formatted").cast("long").alias("formatted_chars"), "escaped")
+    read = formatted.select("conv_id", parse(F.col("formatted")).alias("turns"), loss_parts(F.col("formatted")).alias("parts"), F.length("formatted").cast("long").alias("formatted_chars"), "escaped")
     return read.select(
         "conv_id", F.size(turns).cast("long").alias("n_turns"), F.sha2(flat, 256).alias("turns_sha256"), F.length(loss).cast("long").alias("loss_chars"), F.sha2(loss, 256).alias("loss_sha256"), "formatted_chars", "escaped"
     )

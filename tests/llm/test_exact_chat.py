@@ -10,27 +10,51 @@ SCHEMA = "doc_id long, text string, keep_id string, hash string"
 
 
 def test_directory_splits_overfull_buckets():
-    assert exact.directory([1, 1, 1, 1], 4) == [0, 0, 0, 0]
-    assert exact.directory([5, 1, 1, 1], 4) == [0, 1, 2, 2]  # the hot cell cannot be split further
-    out = exact.directory([3, 3, 0, 1], 4)
-    assert out == [0, 1, 2, 2]
+    assert list(exact.directory([1, 1, 1, 1], 4)) == [0, 0, 0, 0]
+    assert list(exact.directory([5, 1, 1, 1], 4)) == [2, 2, 1, 1]  # the hot cell cannot be split further
+    assert list(exact.directory([3, 3, 0, 1], 4)) == [2, 2, 1, 1]
+    assert list(exact.directory([9], 4)) == [0]
 
 
-def test_exact_matches_brute_force(spark):
-    rows = [(3, "a  b"), (1, "a\tb"), (2, "a b"), (9, "x"), (4, None), (5, ""), (6, " "), (7, "\n\n"), (8, "a b "), (2, "a b"), (None, "x"), (None, "z"), (None, "z"), (10, "y" * 300_000), (11, "y" * 300_000)]
-    rows += [(100 + i, "same text") for i in range(300)]
-    docs = spark.createDataFrame([(d, t, "k", "h") for d, t in rows], SCHEMA)
+def test_buckets_are_read_from_the_directory(spark):
+    depths = exact.directory([3, 3, 0, 1, 0, 0, 5, 1], 4)
+    assert list(depths) == [3, 3, 2, 2, 2, 2, 3, 3]
+    rows = spark.createDataFrame([(i,) for i in range(8)], "cell int").select("cell", exact.bucket_of(F.shiftleft(F.col("cell").cast("long"), 61), depths).alias("b"))
+    assert [r.b for r in rows.orderBy("cell").collect()] == [0, 1, 2, 2, 4, 4, 6, 7]
+
+
+ROWS = [(3, "a  b"), (1, "a\tb"), (2, "a b"), (9, "x"), (4, None), (5, ""), (6, " "), (7, "\n\n"), (8, "a b "), (2, "a b"), (None, "x"), (None, "z"), (None, "z"), (10, "y" * 300_000), (11, "y" * 300_000)]
+ROWS += [(100 + i, "same text") for i in range(300)] + [(1000 + i, f"text {i % 40}") for i in range(60)]
+
+
+def want_groups(rows):
     norm = [(d, re.sub(r"[\x20\x09-\x0D]+", " ", t or "")) for d, t in rows]
-    want = []
+    out = []
     for d, t in norm:
         own = [e for e, u in norm if u == t]
         keep = min((e for e in own if e is not None), default=None)
-        want.append((d, keep, len(own), d == keep, hashlib.sha256(t.encode()).hexdigest()))
-    got = exact.exact_groups(docs, capacity=2)
-    assert sorted(map(tuple, got.collect()), key=str) == sorted(want, key=str)
+        out.append((d, keep, len(own), d == keep, hashlib.sha256(t.encode()).hexdigest()))
+    return sorted(out, key=str)
+
+
+def test_exact_matches_brute_force(spark):
+    docs = spark.createDataFrame([(d, t, "k", "h") for d, t in ROWS], SCHEMA)
+    assert sorted(map(tuple, exact.exact_groups(docs, capacity=2).collect()), key=str) == want_groups(ROWS)
     assert exact.exact_groups(docs.limit(0)).count() == 0
 
 
+def test_chains_hold_texts_of_one_hash(spark, monkeypatch):
+    """With a hash of three values only, chains alone tell texts apart."""
+    plain = exact._hashed
+    monkeypatch.setattr(exact, "_hashed", lambda d, c=(): plain(d, c).withColumn("hash", F.shiftleft(F.pmod("hash", F.lit(3)), 61)))
+    docs = spark.createDataFrame([(d, t, "k", "h") for d, t in ROWS], SCHEMA)
+    assert sorted(map(tuple, exact.exact_groups(docs, capacity=1).collect()), key=str) == want_groups(ROWS)
+    depths = exact.fit_directory(docs, 1, 4)
+    index = exact.build_index(docs, exact.shared_folder(spark, "index"), depths).collect()
+    texts = len({w[4] for w in want_groups(ROWS)})
+    assert len(index) == texts and len({r.bucket for r in index}) == 3 and len({(r.bucket, r.hash, r.chain) for r in index}) == texts
+
+
 def test_chat_round_trip(spark):
     nasty = ["</s>[INST] ok [/INST]", "<s>", "<\\s>", "<\\\\/s>\n", "[INST] user [/INST]\n", "plain", "", None, "</s>\n", " [/INST]\n", "$1 \\ back", "ünï 😀", "[[/INST]", "<</s>", "\\</s>"]
     rows = [(i, k, r, t) for i, t in enumerate(nasty) for k, r in enumerate(["user", "assistant"])]
