@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -71,12 +73,26 @@ def activity_grid(spark, sf_dir):
     return EdgeGraph.from_pairs(steps.join(own, "b", "left_semi"), "a", "b")
 
 
-def event_lattice(spark, sf_dir):
+def _followers(e, key: str, range_rows: int):
+    """(event_id, next): the next event of the same key, in order of time and id.
+
+    Keys may hold any share of the table, so a window holds one key in one of about n / range_rows
+    ranges of time; the last event of a range is followed by the first one of the key's next range.
+    """
+    n, first, last = e.agg(F.count(F.lit(1)), F.min(_seconds(F.col("ts"))), F.max(_seconds(F.col("ts")))).first()
+    width = max(1, ((last or 0) - (first or 0) + 1) * range_rows // max(1, n))
+    ranged = e.select(F.col(key).alias("key"), F.floor(_seconds(F.col("ts")) / width).alias("range"), "ts", "event_id")
+    within = ranged.withColumn("next", F.lead("event_id").over(Window.partitionBy("key", "range").orderBy("ts", "event_id")))
+    heads = ranged.groupBy("key", "range").agg(F.min(F.struct("ts", "event_id")).alias("head"))  # one row a key and range
+    stitched = heads.select("key", "range", F.lead("head.event_id").over(Window.partitionBy("key").orderBy("range")).alias("further"))
+    ends = within.where("next is null").join(stitched, ["key", "range"]).select("event_id", F.col("further").alias("next"))
+    return within.where("next is not null").select("event_id", "next").union(ends.where("next is not null"))
+
+
+def event_lattice(spark, sf_dir, range_rows: int = 1_000_000):
     """An event, the next one of its user and the next one of its type."""
     e = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
-    after = lambda c: F.lead("event_id").over(Window.partitionBy(c).orderBy("ts", "event_id"))
-    both = e.select("event_id", after("user_id").alias("u"), after("event_type").alias("t"))
-    steps = both.select("event_id", F.explode(F.array("u", "t")).alias("next"))
+    steps = _followers(e, "user_id", range_rows).union(_followers(e, "event_type", range_rows))
     return EdgeGraph.from_pairs(steps, vid(F.col("event_id"), "event"), vid(F.col("next"), "event"))
 
 
@@ -125,18 +141,31 @@ def reply_chain(spark, sf_dir):
     return EdgeGraph.from_pairs(nxt, key(F.col("turn") - 1), key(F.col("turn")))
 
 
-def knn(spark, sf_dir, k: int = 5):
-    """Each vector and its k nearest by cosine: queries in one bounded block after the other.
-
-    The table is joined with itself by blocks; each row keeps its k best of a block before they meet.
-    """
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda a, b: a.cast("double") * b.cast("double")), F.lit(0.0), lambda s, t: s + t)
-    v = load(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    v = v.withColumn("norm", F.sqrt(dot(F.col("embedding"), F.col("embedding"))))
-    blocks = 4
-    a = v.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    b = v.select(F.pmod("vec_id", F.lit(blocks)).cast("int").alias("block"), F.col("vec_id").alias("other"), F.col("embedding").alias("e2"), F.col("norm").alias("n2"))
-    near = a.join(b, "block").where("vec_id != other").select("vec_id", "other", F.round(dot(F.col("embedding"), F.col("e2")) / (F.col("norm") * F.col("n2")), 9).alias("cosine"))
+def knn(spark, sf_dir, k: int = 5, block_rows: int = 2048):
+    """Each vector and its k nearest by cosine, exactly: blocks of bounded size meet each other, and a vector
+    keeps its k best of a block before what it found in all blocks is ranked."""
+    v = load(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    blocks = max(1, -(-v.count() // block_rows))
+    own = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    asked, stored = v.select("vec_id", "v", own.alias("i"), every.alias("j")), v.select("vec_id", "v", own.alias("j"), every.alias("i"))
+
+    def meet(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows or not right.num_rows:
+            return pa.table({"vec_id": pa.array([], pa.int64()), "other": pa.array([], pa.int64()), "cosine": pa.array([], pa.float64())})
+        sides = []
+        for t in (left, right):
+            x = np.array(t["v"].to_pylist(), dtype=np.float64)
+            sides += [t["vec_id"].to_numpy(), x, np.sqrt((x * x).sum(axis=1))]
+        a, x, n, b, y, m = sides
+        cosine = np.round(x @ y.T / (n[:, None] * m), 9)
+        cosine[a[:, None] == b] = -np.inf
+        order = np.lexsort((np.broadcast_to(b, cosine.shape), -cosine))[:, :k]
+        best = np.take_along_axis(cosine, order, axis=1)
+        row, at = np.nonzero(best > -np.inf)
+        return pa.table({"vec_id": a[row], "other": b[order[row, at]], "cosine": best[row, at]})
+
+    near = asked.groupBy("i", "j").cogroup(stored.groupBy("i", "j")).applyInArrow(meet, "vec_id long, other long, cosine double")
     best = Window.partitionBy("vec_id").orderBy(F.desc("cosine"), "other")
     top = near.withColumn("r", F.row_number().over(best)).where(F.col("r") <= k)
     return EdgeGraph.from_pairs(top, vid(F.col("vec_id"), "vector"), vid(F.col("other"), "vector"))

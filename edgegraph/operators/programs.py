@@ -6,13 +6,13 @@ import heapq
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import portable_hash
 from ..model import EdgePartitioning
 from ..plans import Scratch
-from .engine import Outcome, Program, run_program
+from .engine import Local, Outcome, Program, run_program
 
 
 def _neighbours(a: np.ndarray, b: np.ndarray, w: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -22,11 +22,11 @@ def _neighbours(a: np.ndarray, b: np.ndarray, w: np.ndarray, n: int) -> tuple[np
     return np.searchsorted(ends[order], np.arange(n + 1)), others[order], weight[order]
 
 
-def _nearest(a, b, w, value, dirty):
+def _nearest(part: Local):
     """Distances inside one part, from the vertices whose distance is new."""
-    at, others, weight = _neighbours(a, b, w, len(value))
-    best = value.astype(np.float64).tolist()
-    heap = [(best[i], int(i)) for i in dirty if best[i] < np.inf]
+    at, others, weight = _neighbours(part.a, part.b, part.weight, len(part.value))
+    best = part.value.astype(np.float64).tolist()
+    heap = [(best[i], int(i)) for i in part.dirty if best[i] < np.inf]
     heapq.heapify(heap)
     at, others, weight = at.tolist(), others.tolist(), weight.tolist()
     while heap:
@@ -53,8 +53,9 @@ def distances(p: EdgePartitioning, sources: int | list[int], weight: str | None
     return run_program(p, Program("distance", "double", setup, _nearest, lambda v, w: v + w), weight=weight, **options)
 
 
-def _smallest(a, b, w, value, dirty):
+def _smallest(part: Local):
     """The smallest label of each local component to all of its members."""
+    a, b, value = part.a, part.b, part.value
     root = np.arange(len(value))
     while True:
         low = np.minimum(root[a], root[b])
@@ -81,30 +82,45 @@ def components(p: EdgePartitioning, **options) -> Outcome:
     return run_program(p, Program("components", "long", setup, _smallest, lambda v, w: v), **options)
 
 
-def maximal_independent_set(p: EdgePartitioning, seed: int = 0, most_rounds: int = 1000) -> tuple[DataFrame, int]:
-    """(vid, in_set) and the rounds taken. Vertices have fixed random priorities; in a round an undecided
-    vertex whose priority is below those of all its undecided neighbours joins, and its neighbours leave.
-    Parts work out what their edges show; the reconcile takes the minimum for shared vertices, and the
-    decision is a function of the reconciled values for all of them.
+_WAITS, _READY, _IN, _OUT = range(4)
+
+
+def _decide(part: Local):
+    """Settles what a part can tell: out beside a member; ready where all neighbours of lower rank are out,
+    which makes a vertex of one part a member at once."""
+    status, low = part.value, np.lexsort((part.vid, part.extra["rank"]))
+    place = np.empty(len(low), dtype=np.int64)
+    place[low] = np.arange(len(low))
+    ends, others = np.concatenate((part.a, part.b)), np.concatenate((part.b, part.a))
+    lower = place[others] < place[ends]
+    while True:
+        before = status.copy()
+        beside = np.zeros(len(status), dtype=bool)
+        beside[ends[status[others] == _IN]] = True
+        status[beside & (status < _IN)] = _OUT
+        blocked = np.zeros(len(status), dtype=bool)
+        blocked[ends[lower & (status[others] != _OUT)]] = True
+        status[~blocked & (status == _WAITS)] = _READY
+        status[(status == _READY) & (part.copies == 1)] = _IN
+        if (status == before).all():
+            return status
+
+
+def maximal_independent_set(p: EdgePartitioning, seed: int = 0, **options) -> tuple[DataFrame, int]:
+    """(vid, in_set) and the supersteps taken: the set that takes vertices by a fixed random rank, each
+    unless a neighbour is in. Ranks are spread to the parts by the setup; a shared vertex joins when all
+    of its replicas are ready, and leaves when one sees a member beside it, which the reconcile decides.
     """
-    scratch = Scratch(p.spark, "independent-set")
-    half = scratch.store(p.assigned.select("part", F.explode(F.array(F.struct(F.col("src").alias("vid"), F.col("dst").alias("nbr")), F.struct(F.col("dst").alias("vid"), F.col("src").alias("nbr")))).alias("h")).select("part", "h.vid", "h.nbr"))
-    rank = lambda c: F.struct(portable_hash(seed, F.col(c)).alias("h"), F.col(c).alias("v"))
-    state = scratch.store(p.replicas().select("vid").distinct().select("vid", F.lit(0).alias("status")), "state")  # 1 in, 2 out
-    rounds = 0
-    while rounds < most_rounds:
-        open_ = state.where("status = 0").select("vid")
-        if not open_.limit(1).count():
-            break
-        live = half.join(open_, "vid", "left_semi").join(open_.withColumnRenamed("vid", "nbr"), "nbr", "left_semi")
-        local = live.groupBy("part", "vid").agg(F.min(rank("nbr")).alias("least"))  # in each part
-        agreed = local.groupBy("vid").agg(F.min("least").alias("least"))  # over the replicas
-        joins = scratch.store(open_.join(agreed, "vid", "left").where(F.col("least").isNull() | (rank("vid") < F.col("least"))).select("vid"), "joins")
-        leaves = live.join(joins.withColumnRenamed("vid", "nbr"), "nbr", "left_semi").select("vid").distinct()
-        told = joins.select("vid", F.lit(1).alias("new")).unionByName(leaves.select("vid", F.lit(2).alias("new")))
-        state = scratch.store(state.join(told, "vid", "left").select("vid", F.coalesce("new", "status").alias("status")), "state")
-        rounds += 1
-    return state.select("vid", (F.col("status") == 1).alias("in_set")), rounds
+
+    def setup(copies: DataFrame) -> DataFrame:
+        return copies.select("part", "vid", "n_copies", portable_hash(seed, F.col("vid")).alias("rank"), F.lit(_WAITS).alias("value"), F.lit(True).alias("dirty"))
+
+    def agree(c: str) -> Column:
+        return F.when(F.max(c) == _OUT, _OUT).when(F.min(c) >= _READY, _IN).otherwise(_WAITS)
+
+    program = Program("independent-set", "int", setup, _decide, reconcile=agree, whole=True, adopt=lambda own, told: np.where(told >= _IN, told, own), extra="rank long")
+    out = run_program(p, program, **options)
+    return out.states.select("vid", (F.col("value") == _IN).alias("in_set")), out.supersteps
 
 
 def betweenness(p: EdgePartitioning, sources: list[int]) -> DataFrame:

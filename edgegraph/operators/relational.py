@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
+
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 from .. import catalog
 from ..plans import Scratch
@@ -294,26 +298,26 @@ def op_fn_url(spark, d):
 
 @query("select p_partkey from part where exists (select 1 from lineitem where l_partkey = p_partkey and l_quantity >= 50)")
 def op_subquery_exists(spark, d):
-    load(spark, d, "part").createOrReplaceTempView("part_v")
-    load(spark, d, "lineitem").createOrReplaceTempView("lineitem_v")
-    return spark.sql("select p_partkey from part_v where exists (select 1 from lineitem_v where l_partkey = p_partkey and l_quantity >= 50)")
+    return spark.sql("select p_partkey from {part} where exists (select 1 from {lines} where l_partkey = p_partkey and l_quantity >= 50)", part=load(spark, d, "part"), lines=load(spark, d, "lineitem"))
 
 
 @query(f"with g as {_DEG.format(_E1)} select vid, degree from g where degree > (select avg(degree) from g)")
 def op_subquery_scalar(spark, d):
-    catalog.copurchase_q(spark, d).degrees().createOrReplaceTempView("degree_v")
-    return spark.sql("select vid, degree from degree_v where degree > (select avg(degree) from degree_v)")
+    return spark.sql("select vid, degree from {degrees} where degree > (select avg(degree) from {degrees})", degrees=catalog.copurchase_q(spark, d).degrees())
 
 
 @query("with recursive up(vid, above, depth) as (select c_custkey * 16 + 2, c_nationkey::bigint * 16 + 1, 1 from customer union all select up.vid, n_regionkey::bigint * 16, depth + 1 from up join nation on above = n_nationkey::bigint * 16 + 1) select vid, above, depth::bigint depth from up")
 def op_cte_recursive(spark, d):
-    load(spark, d, "customer").select("c_custkey", "c_nationkey").createOrReplaceTempView("customer_v")
-    load(spark, d, "nation").select("n_nationkey", "n_regionkey").createOrReplaceTempView("nation_v")
-    return spark.sql("""
+    customers, nations = load(spark, d, "customer").select("c_custkey", "c_nationkey"), load(spark, d, "nation").select("n_nationkey", "n_regionkey")
+    return spark.sql(
+        """
         with recursive up(vid, above, depth) max recursion level 5 as (
-            select c_custkey * 16 + 2, cast(c_nationkey as bigint) * 16 + 1, 1 from customer_v
-            union all select up.vid, cast(n_regionkey as bigint) * 16, depth + 1 from up join nation_v on above = cast(n_nationkey as bigint) * 16 + 1)
-        select vid, above, cast(depth as bigint) as depth from up""")
+            select c_custkey * 16 + 2, cast(c_nationkey as bigint) * 16 + 1, 1 from {customers}
+            union all select up.vid, cast(n_regionkey as bigint) * 16, depth + 1 from up join {nations} on above = cast(n_nationkey as bigint) * 16 + 1)
+        select vid, above, cast(depth as bigint) as depth from up""",
+        customers=customers,
+        nations=nations,
+    )
 
 
 @query(f"select src, dst, xor(src, dst)::bigint mixed from ({_E1})")
@@ -328,25 +332,38 @@ def op_udf_arrow(spark, d):
 
 @query("select user_id, bit_or(1::bigint << (event_id % 16)::int)::bigint bits from events group by all")
 def op_udaf(spark, d):
-    return load(spark, d, "events").groupBy("user_id").agg(F.bit_or(F.expr("shiftleft(1L, cast(event_id % 16 as int))")).alias("bits"))
+    """An aggregate of one's own: the replicas' bit sets to the set of all. Equal states are merged before,
+    so a group of any size brings 16 rows at most to its task."""
+
+    @pandas_udf("long")
+    def agreed(state: pd.Series) -> int:
+        return int(np.bitwise_or.reduce(state.to_numpy()))
+
+    states = load(spark, d, "events").select("user_id", F.expr("shiftleft(1L, cast(event_id % 16 as int))").alias("state")).distinct()
+    return states.groupBy("user_id").agg(agreed("state").alias("bits"))
 
 
-@query("select i.k::bigint step, i.k * 2::bigint as a, i.k * 2 + 2::bigint as b from range(40) i(k)")
+@query(f"select src vid, dst nbr from ({_E1}) union all select dst, src from ({_E1})")
 def op_udtf(spark, d):
-    @udtf(returnType="step bigint, a bigint, b bigint")
-    class Path:
-        def eval(self, n: int):
-            for i in range(n):
-                yield i, 2 * i, 2 * i + 2
+    """A table function of one's own over a table: the neighbours that an edge gives to its ends."""
 
-    return Path(F.lit(40))
+    @udtf(returnType="vid bigint, nbr bigint")
+    class Neighbours:
+        def eval(self, src: int, dst: int):
+            yield src, dst
+            yield dst, src
+
+    edges = catalog.copurchase_q(spark, d).edges
+    return edges.lateralJoin(Neighbours(F.col("src").outer(), F.col("dst").outer())).select("vid", "nbr")
 
 
 @query(f"select src, dst, ((src * 31 + dst) % 8)::bigint part from ({_E1})")
 def op_sql_function(spark, d):
-    spark.sql("create or replace temporary function edge_part(a bigint, b bigint, k int) returns bigint return (a * 31 + b) % k")
-    catalog.copurchase_q(spark, d).edges.createOrReplaceTempView("edges_v")
-    return spark.sql("select src, dst, edge_part(src, dst, 8) as part from edges_v")
+    name = f"edge_part_{uuid.uuid4().hex}"
+    spark.sql(f"create temporary function {name}(a bigint, b bigint, k int) returns bigint return (a * 31 + b) % k")
+    out = spark.sql(f"select src, dst, {name}(src, dst, 8) as part from {{edges}}", edges=catalog.copurchase_q(spark, d).edges)
+    spark.sql(f"drop temporary function {name}")
+    return out
 
 
 @query(f"with p as (select count(*) n from ({_E1})) select f.x format, n from p, (select unnest(['parquet by part', 'csv', 'json', 'orc', 'parquet']) x) f")

@@ -106,7 +106,7 @@ def hash_edge_parts(spark, d):
     return _hashed(spark, d).assigned
 
 
-@query(f"with {_SP} select src, dst, (((({portable_hash_sql(SEED, 'src')}) % 5) * 5 + ({portable_hash_sql(SEED, 'dst')}) % 5) % {K})::int part from e")
+@query(f"with {_SP} select src, dst, ((({portable_hash_sql(SEED, 'src')}) % 4) * 5 + ({portable_hash_sql(SEED, 'dst')}) % 5)::int part from e")
 def grid_edge_parts(spark, d):
     return baselines.grid_hash_edges(catalog.supp_part(spark, d), K, SEED).assigned
 

@@ -23,14 +23,35 @@ def query(sql: str | None = None):
     return add
 
 
-def _source(spark: SparkSession, d: str, files: int = 4) -> tuple[DataFrame, Scratch]:
-    """events as a stream of several files in the order of time, ts in session time (UTC)."""
+def _source(spark: SparkSession, d: str, files: int = 4, late: DataFrame | None = None) -> tuple[DataFrame, Scratch]:
+    """events as a stream of several files that arrive in the order of time, ts in session time (UTC).
+
+    late: rows that arrive in one more file after all others. The last two files hold a mark of the end: a row
+    without event_id, far ahead in time, which lets the watermark pass the last real row; queries with a
+    watermark leave it out behind the watermark, the others see no need of it and do so at once.
+    """
     scratch = Scratch(spark, "stream")
     e = spark.read.parquet(f"{d}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
-    e.repartitionByRange(files, "ts").write.parquet(f"{scratch.path}/in")
+    at = F.unix_micros("ts")
+    cuts = e.agg(F.percentile_approx(at, F.array(*(F.lit(i / files) for i in range(1, files))))).first()[0] or []
+    edges = [None, *cuts, None]
+    for low, high in zip(edges, edges[1:]):
+        part = e.where(F.lit(True) if low is None else at >= low).where(F.lit(True) if high is None else at < high)
+        part.coalesce(1).write.mode("append").parquet(f"{scratch.path}/in")
+    if late is not None:
+        late.select(e.columns).coalesce(1).write.mode("append").parquet(f"{scratch.path}/in")
+    end = e.agg((F.max("ts") + F.expr("interval 1000 days")).alias("ts")).select(F.lit(None).cast(e.schema["event_id"].dataType).alias("event_id"), "ts", F.lit(None).cast(e.schema["user_id"].dataType).alias("user_id"), F.lit(None).cast("string").alias("event_type"))
+    for _ in range(2):  # the watermark that the first one sets is in force from the second one on
+        end.coalesce(1).write.mode("append").parquet(f"{scratch.path}/in")
     return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{scratch.path}/in"), scratch
 
 
+def _marked(s: DataFrame, delay: str) -> DataFrame:
+    """The rows of a stream with a watermark, without the mark of the end."""
+    # the condition looks at ts too, or it would be moved below the watermark, which would not see the mark
+    return s.withWatermark("ts", delay).where(F.when(F.col("ts").isNotNull(), F.col("event_id").isNotNull()))
+
+
 def _span(spark: SparkSession, d: str) -> int:
     """Seconds from the first event to the last, rounded up."""
     ts = F.col("ts").cast("timestamp")
@@ -38,8 +59,9 @@ def _span(spark: SparkSession, d: str) -> int:
     return 1 if first is None else last - first + 1
 
 
-def _drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each=None) -> DataFrame:
-    """All that a stream yields, through a file sink (or each(batch, id)) until its source is exhausted."""
+def _drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each=None, whole=None) -> DataFrame:
+    """All that a stream yields, through a file sink (or each(batch, id, folder)) until its source is exhausted;
+    whole reads what each wrote, if that is not one table."""
     spark, out = stream.sparkSession, f"{scratch.path}/out-{uuid.uuid4().hex}"
     writer = stream.writeStream.option("checkpointLocation", f"{out}-state").trigger(availableNow=True)
     if each is not None:
@@ -47,38 +69,36 @@ def _drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each=None)
     else:
         q = writer.outputMode(mode).format("parquet").option("path", out).start()
     q.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out) if each is None else spark.read.parquet(out)
-
-
-def _replace(b: DataFrame, i: int, out: str) -> None:
-    b.write.mode("overwrite").parquet(out)  # complete mode: the whole result each time
+    if each is None:
+        return spark.read.schema(stream.schema).parquet(out)
+    return spark.read.parquet(out) if whole is None else whole(out)
 
 
 @query("select time_bucket(interval 1 day, ts) as start, event_type, count(*) n from events group by all")
 def op_stream_tumbling(spark, d):
     s, scratch = _source(spark, d)
-    rows = s.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
-    return _drain(rows, scratch, "complete", _replace)
+    rows = _marked(s, "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+    return _drain(rows, scratch)
 
 
 @query("select s as start, count(*) n from (select unnest([time_bucket(interval 12 hour, ts), time_bucket(interval 12 hour, ts) - interval 12 hour]) s from events) group by all")
 def op_stream_sliding(spark, d):
     s, scratch = _source(spark, d)
-    rows = s.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day", "12 hours")).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
-    return _drain(rows, scratch, "complete", _replace)
+    rows = _marked(s, "1 day").groupBy(F.window("ts", "1 day", "12 hours")).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
+    return _drain(rows, scratch)
 
 
 @query("select user_id, min(ts) as start, count(*) n from (select *, sum(new) over (partition by user_id order by ts, event_id) g from (select *, case when ts - lag(ts) over (partition by user_id order by ts, event_id) < interval 6 hour then 0 else 1 end new from events)) group by user_id, g")
 def op_stream_session(spark, d):
     s, scratch = _source(spark, d)
-    rows = s.withWatermark("ts", "60 days").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
-    return _drain(rows, scratch, "complete", _replace)
+    rows = _marked(s, "1 day").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+    return _drain(rows, scratch)
 
 
 @query("select distinct user_id, event_type from events")
 def op_stream_dedupe(spark, d):
     s, scratch = _source(spark, d)
-    rows = s.select("user_id", "event_type").dropDuplicates()  # no bound: its state is the result
+    rows = s.where("event_id is not null").select("user_id", "event_type").dropDuplicates()  # no bound: its state is the result
     return _drain(rows, scratch)
 
 
@@ -94,22 +114,46 @@ def op_stream_join(spark, d):
 
 def assign_arriving(batch: DataFrame, placed: DataFrame | None, k: int) -> DataFrame:
     """(src, dst, part) for the edges of a batch: a part that holds both ends, else one end (the smallest
-    such part), else by hash. placed: earlier (src, dst, part)."""
-    hashed = F.pmod(F.xxhash64("src", "dst"), F.lit(k)).cast("int")
+    number), else the smallest parts: such edges fill the parts up to one level, dealt by hash in proportion
+    to what each lacks. placed: earlier (src, dst, part)."""
     batch = batch.select("src", "dst").distinct()
+    sizes = [0] * k
     if placed is None:
-        return batch.withColumn("part", hashed)
-    batch = batch.join(placed.select("src", "dst"), ["src", "dst"], "left_anti")
-    homes = placed.select(F.explode(F.array("src", "dst")).alias("vid"), "part").distinct()
-    ends = batch.select("src", "dst", F.explode(F.array("src", "dst")).alias("vid")).join(homes, "vid")
-    best = ends.groupBy("src", "dst", "part").agg(F.count(F.lit(1)).alias("n")).groupBy("src", "dst").agg(F.max_by("part", F.struct("n", -F.col("part"))).alias("home"))
-    return batch.join(best, ["src", "dst"], "left").select("src", "dst", F.coalesce("home", hashed).alias("part"))
+        homeless = batch.withColumn("home", F.lit(None).cast("int"))
+    else:
+        batch = batch.join(placed.select("src", "dst"), ["src", "dst"], "left_anti")
+        homes = placed.select(F.explode(F.array("src", "dst")).alias("vid"), "part").distinct()
+        ends = batch.select("src", "dst", F.explode(F.array("src", "dst")).alias("vid")).join(homes, "vid")
+        best = ends.groupBy("src", "dst", "part").agg(F.count(F.lit(1)).alias("n")).groupBy("src", "dst").agg(F.max_by("part", F.struct("n", -F.col("part"))).alias("home"))
+        homeless = batch.join(best, ["src", "dst"], "left")
+        for r in placed.groupBy("part").count().collect():  # k rows
+            sizes[r["part"]] += r["count"]
+    found = {r["home"]: r["count"] for r in homeless.groupBy("home").count().collect()}  # k + 1 rows at most
+    sizes = [n + found.get(i, 0) for i, n in enumerate(sizes)]
+    shares = fill_level(sizes, found.get(None, 0))
+    place = F.pmod(F.xxhash64("src", "dst"), F.lit(max(1, sum(shares))))
+    dealt = F.lit(k - 1)
+    for i in reversed(range(k)):
+        dealt = F.when(place < sum(shares[: i + 1]), i).otherwise(dealt)
+    return homeless.select("src", "dst", F.coalesce("home", dealt).cast("int").alias("part"))
+
+
+def fill_level(sizes: list[int], n: int) -> list[int]:
+    """How many of n further items each part gets, so that the smallest rise to one level."""
+    order, out = sorted(range(len(sizes)), key=lambda i: (sizes[i], i)), [0] * len(sizes)
+    for used in range(len(order), 0, -1):
+        level, rest = divmod(n + sum(sizes[i] for i in order[:used]), used)
+        if level >= sizes[order[used - 1]]:
+            for j, i in enumerate(order[:used]):
+                out[i] = level + (j < rest) - sizes[i]
+            break
+    return out
 
 
 @query("select count(*) n_edges, 0::bigint twice, 0::bigint outside from (select distinct user_id * 16 + 2 a, hash_type b from (select user_id, event_type hash_type from events))")
 def op_stream_assign(spark, d):
     s, scratch = _source(spark, d)
-    edges = s.select((F.col("user_id") * 16 + 2).alias("src"), (F.crc32(F.col("event_type").cast("binary")) * 16 + 6).alias("dst"))
+    edges = s.where("event_id is not null").select((F.col("user_id") * 16 + 2).alias("src"), (F.crc32(F.col("event_type").cast("binary")) * 16 + 6).alias("dst"))
 
     def each(batch: DataFrame, i: int, out: str) -> None:
         session = batch.sparkSession
@@ -121,40 +165,68 @@ def op_stream_assign(spark, d):
     return per.agg(F.count(F.lit(1)).alias("n_edges"), F.count(F.when(F.col("n") > 1, 1)).alias("twice"), F.count(F.when((F.col("p") > 7) | (F.col("q") < 0), 1)).alias("outside"))
 
 
-@query("select min(user_id) over () as comp, user_id from (select distinct user_id from events)")
-def op_stream_components(spark, d):
-    """Labels of users linked through the types of their events, kept up to date batch by batch: each
-    batch joins the labels of what it touches."""
-    from ..operators.baselines import vertex_rounds_components
+def current_labels(vids: DataFrame, parents: DataFrame | None, most_rounds: int = 64) -> DataFrame:
+    """(vid, comp) for vids (vid): up the chain of parents (label, parent), to labels that have none; a
+    vertex nobody has merged yet is its own label."""
+    now = vids.select("vid", F.col("vid").alias("comp"))
+    if parents is None:
+        return now
+    scratch = Scratch(vids.sparkSession, "labels")
+    for _ in range(most_rounds):
+        up = now.join(parents.select(F.col("label").alias("comp"), "parent"), "comp", "left")
+        now = scratch.store(up.select("vid", F.coalesce("parent", "comp").alias("comp"), F.col("parent").isNotNull().alias("moved")), "now")
+        if not now.where("moved").limit(1).count():
+            return now.select("vid", "comp")
+        now = now.select("vid", "comp")
+    raise RuntimeError("chains of labels did not end")
+
+
+def merge_arriving(batch: DataFrame, parents: DataFrame | None) -> DataFrame:
+    """(label, parent) for the labels that the links (a, b) of a batch merge into smaller ones. Only the
+    labels of vertices that the batch touches are read and only they are merged."""
     from ..model import EdgeGraph
+    from ..operators.baselines import vertex_rounds_components
+
+    scratch = Scratch(batch.sparkSession, "merge")
+    links = scratch.store(batch.select("a", "b").distinct())
+    labels = scratch.store(current_labels(links.select(F.explode(F.array("a", "b")).alias("vid")).distinct(), parents))
+    side = lambda c: labels.select(F.col("vid").alias(c), F.col("comp").alias(f"l{c}"))
+    between = links.join(side("a"), "a").join(side("b"), "b").where("la != lb")
+    merged = vertex_rounds_components(EdgeGraph.from_pairs(between, "la", "lb"))[0]
+    return merged.where("vid != comp").select(F.col("vid").alias("label"), F.col("comp").alias("parent"))
+
+
+_LINKS = "e as (select distinct user_id * 16 + 2 as src, ((user_id * 7 + length(event_type)) % 11 + 1000000) * 16 + 6 as dst from events where event_id % 2 = user_id % 2 and user_id % 3 <> 0), h as (select src a, dst b from e union all select dst, src from e)"
+
 
+@query(f"with recursive {_LINKS}, t(vid, c) using key (vid) as (select vid, vid c from (select distinct a vid from h) union select vid, min(c) c from (select h.b vid, t.c from t join h on h.a = t.vid join recurring.t r on r.vid = h.b where t.c < r.c) group by vid) select (vid - 2) // 16 user_id, (c - 2) // 16 comp from t where vid % 16 = 2")
+def op_stream_components(spark, d):
+    """Labels of users linked through groups of their events, kept up to date batch by batch: merges of
+    labels are appended, and only labels that a batch touches are looked up."""
     s, scratch = _source(spark, d, files=2)
-    edges = s.select((F.col("user_id") * 16 + 2).alias("a"), (F.crc32(F.col("event_type").cast("binary")) * 16 + 6 + (1 << 40)).alias("b"))
+    some = s.where("event_id is not null and event_id % 2 = user_id % 2 and user_id % 3 <> 0")
+    edges = some.select((F.col("user_id") * 16 + 2).alias("a"), (((F.col("user_id") * 7 + F.length("event_type")) % 11 + 1_000_000) * 16 + 6).alias("b"))
 
     def each(batch: DataFrame, i: int, out: str) -> None:
         session = batch.sparkSession
-        links = batch.distinct()
-        if i:
-            old = session.read.schema("vid long, comp long").parquet(f"{out}/batch={i - 1}")
-            links = links.union(old.select("vid", "comp"))
-        vertex_rounds_components(EdgeGraph.from_pairs(links.toDF("a", "b"), "a", "b"))[0].write.mode("overwrite").parquet(f"{out}/batch={i}")
+        parents = session.read.schema("label long, parent long").parquet(f"{out}/parents") if i else None
+        batch.select("a").distinct().write.mode("append").parquet(f"{out}/users")
+        merge_arriving(batch, parents).write.mode("append").parquet(f"{out}/parents")
 
-    got = _drain(edges, scratch, "append", each)
-    last = got.agg(F.max("batch")).first()[0]
-    users = got.where(F.col("batch") == last).where("vid % 16 = 2").select(F.shiftright("comp", 4).alias("comp"), F.shiftright("vid", 4).alias("user_id"))
-    return users
+    def whole(out: str) -> DataFrame:
+        users = spark.read.schema("a long").parquet(f"{out}/users").select(F.col("a").alias("vid")).distinct()
+        return current_labels(users, spark.read.schema("label long, parent long").parquet(f"{out}/parents"))
+
+    found = _drain(edges, scratch, "append", each, whole)
+    return found.select(F.shiftright("vid", 4).alias("user_id"), F.shiftright("comp", 4).alias("comp"))
 
 
-@query("select 0::bigint late_kept")
+@query("select time_bucket(interval 1 day, ts) as start, count(*) n from events group by all")
 def op_stream_late(spark, d):
-    """Rows far behind the watermark are left out of windows: a second file of old rows adds none."""
-    scratch = Scratch(spark, "late")
-    rows = [(1, "2024-03-01 10:00:00"), (2, "2024-03-05 10:00:00")]
-    late = [(3, "2024-03-01 11:00:00")]
-    schema = "event_id int, t string"
-    for i, r in enumerate((rows, [(9, "2024-03-06 10:00:00")], late)):
-        spark.createDataFrame(r, schema).select("event_id", F.col("t").cast("timestamp").alias("ts")).coalesce(1).write.mode("append").parquet(f"{scratch.path}/in/{i}")
-    s = spark.readStream.schema("event_id int, ts timestamp").option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(f"{scratch.path}/in/*")
-    out = s.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"), F.max("event_id").alias("most")).select("n", "most")
-    got = _drain(out, scratch)
-    return got.agg(F.count(F.when(F.col("most") == 3, 1)).alias("late_kept"))
+    """Rows far behind the watermark are left out of windows: a file that repeats the first days' events
+    after all others adds none, and every window still comes once."""
+    e = spark.read.parquet(f"{d}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
+    old = e.where(F.col("ts") < e.agg((F.min("ts") + F.expr("interval 3 days")).alias("t")).first()["t"])
+    s, scratch = _source(spark, d, late=old)
+    rows = _marked(s, "1 day").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
+    return _drain(rows, scratch)

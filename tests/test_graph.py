@@ -4,6 +4,7 @@ import random
 from collections import deque
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -231,3 +232,122 @@ def test_swap_equals_its_simulation_and_many_pairs_swap(spark):
     assert annealed.simulate_parts(many, 8, most_rounds=1)[1][0]["swaps"] > 64
     part, history = annealed.simulate_parts(edges, 3, 2)
     assert [h["swaps"] for h in history[-annealed.QUIET :]] == [0] * annealed.QUIET
+
+
+def test_engine_on_odd_graphs_and_moves_only_what_changed(spark):
+    none = EdgePartitioning(spark.createDataFrame([], "src long, dst long, part int"), 3)
+    assert programs.distances(none, 1).states.count() == 0 and programs.components(none).states.count() == 0
+    p = parted(spark, [(i, i + 1, 0 if i < 50 else 1) for i in range(100)] + [(500, 501, 2)], 4)
+    out = programs.distances(p, 0)
+    # vertex 50 is the only one in two parts: its distance goes up once and down once
+    assert out.supersteps == 2 and out.moved == [2, 0]
+    assert {r.vid: r.value for r in out.states.collect()} == {i: i for i in range(101)} | {500: None, 501: None}
+    again = programs.distances(p, 0, local="sql")
+    assert again.supersteps == 2 and again.moved == [2, 0]
+
+
+def test_superstep_exchanges_neither_edges_nor_states(spark, monkeypatch):
+    """Plan of a later superstep: one exchange by vertex, one by part, and only changed rows in them."""
+    from edgegraph.plans import Scratch
+
+    plans, plain = [], Scratch.table
+
+    def seen(self, frame, key, buckets, name=None):
+        if name == "states":
+            plans.append(frame._jdf.queryExecution().sparkPlan().toString())
+            plans[-1] = frame._jdf.queryExecution().executedPlan().toString()
+        return plain(self, frame, key, buckets, name)
+
+    monkeypatch.setattr(Scratch, "table", seen)
+    g = graph(spark, random_pairs(60, 120, 8))
+    programs.distances(baselines.hash_edges(g, 4), baselines.pick_source(g))
+    assert len(plans) > 2 and all(x.count("Exchange hashpartitioning") == 2 for x in plans[1:])
+    assert all("changed#" in x and "Bucketed: true" in x for x in plans[1:])
+
+
+def test_weighted_distances_match_brute_force(spark):
+    import heapq
+
+    rng = random.Random(9)
+    edges = {(min(e), max(e)): rng.randint(1, 9) / 2 for e in random_pairs(50, 110, 9) if e[0] != e[1]}
+    rows = [(a, b, w, (a * 7 + b) % 3) for (a, b), w in edges.items()]
+    p = EdgePartitioning(spark.createDataFrame(rows, "src long, dst long, cost double, part int"), 3)
+    start = min(edges)[0]
+    best, heap = {}, [(0.0, start)]
+    while heap:
+        d, u = heapq.heappop(heap)
+        if u not in best:
+            best[u] = d
+            for (a, b), w in edges.items():
+                if u in (a, b):
+                    heapq.heappush(heap, (d + w, b if u == a else a))
+    for local in ("arrow", "sql"):
+        got = {r.vid: r.value for r in programs.distances(p, start, weight="cost", local=local).states.collect()}
+        assert {v: d for v, d in got.items() if d is not None} == best
+
+
+def test_goal_and_edge_states(spark):
+    """A program whose edges count how often a part was solved, and which ends after two supersteps."""
+    from edgegraph.operators.engine import Program, run_program
+
+    p = parted(spark, [(i, i + 1, i % 4 // 2) for i in range(40)], 2)
+    def setup(c):
+        return c.select("part", "vid", "n_copies", F.col("vid").cast("double").alias("value"), F.lit(True).alias("dirty"))
+
+    def solve(part):
+        value = part.value.copy()
+        np.minimum.at(value, part.a, part.value[part.b])
+        np.minimum.at(value, part.b, part.value[part.a])
+        return value, part.edge_value + 1
+
+    program = Program("count", "double", setup, solve, edge_setup=F.col("w") * 10, done=lambda x: x["superstep"] >= 2)
+    out = run_program(p, program)
+    assert out.supersteps == 2 and {r.edge_value for r in out.edges.collect()} == {12.0} and out.edges.count() == 40
+    full = run_program(p, Program("least", "double", setup, lambda x: solve(x)[0] if x.edge_value is not None else _spread(x)))
+    assert {r.value for r in full.states.collect()} == {0.0}
+
+
+def _spread(part):
+    value = part.value.copy()
+    while True:
+        before = value.copy()
+        np.minimum.at(value, part.a, before[part.b])
+        np.minimum.at(value, part.b, before[part.a])
+        if (value == before).all():
+            return value
+
+
+def test_mean_reconcile_sees_every_replica(spark):
+    from edgegraph.operators.engine import Program, run_program
+
+    p = parted(spark, [(0, 1, 0), (0, 2, 1), (0, 3, 2)], 3)
+    setup = lambda c: c.select("part", "vid", "n_copies", F.lit(0.0).alias("value"), F.lit(True).alias("dirty"))
+    # each part proposes a value for vertex 0 once; the replicas agree on the mean of all three
+    solve = lambda x: np.where((x.vid == 0) & (x.value == 0), x.vid[x.b[0]] * 3.0, x.value)
+    out = run_program(p, Program("mean", "double", setup, solve, reconcile=F.avg, whole=True, adopt=lambda own, told: told))
+    assert {r.vid: r.value for r in out.states.collect()}[0] == 6.0
+
+
+def test_betweenness_matches_brute_force(spark):
+    pairs = random_pairs(30, 45, 11)
+    g = graph(spark, pairs)
+    near = {}
+    for a, b in {(min(e), max(e)) for e in pairs if e[0] != e[1]}:
+        near.setdefault(a, set()).add(b), near.setdefault(b, set()).add(a)
+    sources = sorted(near)[:3]
+    want = dict.fromkeys(near, 0.0)
+    for s in sources:
+        dist = {v: d for v, d in bfs([(a, b) for a in near for b in near[a] if a < b], s).items() if d is not None}
+        paths = {s: 1}
+        for v in sorted(dist, key=dist.get):
+            if v != s:
+                paths[v] = sum(paths[u] for u in near[v] if dist[u] == dist[v] - 1)
+        owed = dict.fromkeys(dist, 0.0)
+        for v in sorted(dist, key=dist.get, reverse=True):
+            for u in near[v]:
+                if dist[u] == dist[v] - 1:
+                    owed[u] += paths[u] / paths[v] * (1 + owed[v])
+            if v != s:
+                want[v] += owed[v]
+    got = {r.vid: r.score for r in programs.betweenness(baselines.hash_edges(g, 3), sources).collect()}
+    assert got.keys() == want.keys() and all(abs(got[v] - want[v]) < 1e-9 for v in want)
