@@ -122,8 +122,10 @@ def _arrow_solve(program: Program, extra: list[str], most_edges: int, first: boo
             if isinstance(new, tuple):
                 new, edge_value = new
         # replicas agreed on what they were told: only what the solve itself changed is news to the others
-        changed = new != value
-        out = states.drop_columns(["value", "changed"]).append_column("value", _column(new, states.schema.field("value").type)).append_column("changed", pa.array(changed))
+        changed, heard = new != value, np.zeros(len(new), dtype=bool)
+        if not first:
+            heard[at] = True
+        out = states.drop_columns(["value", "changed", "heard"]).append_column("value", _column(new, states.schema.field("value").type)).append_column("changed", pa.array(changed)).append_column("heard", pa.array(heard))
         if edge_value is None:
             return out
         kept = pa.table({"part": edges["part"], "src": edges["src"], "dst": edges["dst"], "w": edges["w"], "edge_value": pa.array(edge_value)})
@@ -154,8 +156,8 @@ def run_program(p: EdgePartitioning, program: Program, most_supersteps: int = 10
     edges = scratch.table(edges.repartition(k, "part"), "part", k)
     by_vid = int(spark.conf.get("spark.sql.shuffle.partitions"))
     extra = [f.name for f in StructType.fromDDL(program.extra)] if program.extra else []
-    names = ["part", "vid", "n_copies", *extra, "value", "changed"]
-    states = program.setup(p.copies()).select(*names[:-2], F.col("value").cast(program.value_type).alias("value"), F.col("dirty").alias("changed")).repartition(k, "part")
+    names = ["part", "vid", "n_copies", *extra, "value", "changed", "heard"]
+    states = program.setup(p.copies()).select(*names[:-3], F.col("value").cast(program.value_type).alias("value"), F.col("dirty").alias("changed"), F.lit(False).alias("heard")).repartition(k, "part")
     kinds = dict(states.dtypes)
     schema = ", ".join(f"{c} {kinds[c]}" for c in names)
     if program.edge_setup is not None:
@@ -163,32 +165,33 @@ def run_program(p: EdgePartitioning, program: Program, most_supersteps: int = 10
     where = None
     supersteps, moved, first = 0, [], True
     while supersteps <= most_supersteps:
-        up, down = Observation(), Observation()
+        seen = Observation()
         if first:
             rows = states
         else:
             if where is None and not program.whole:
                 shared = states.where("n_copies >= 2").groupBy("vid").agg(F.collect_list("part").alias("parts"))
                 where = scratch.table(shared.repartition(by_vid, "vid"), "vid", by_vid)
-            news = _news(program, states, where).observe(down, F.count(F.lit(1)).alias("n"))
+            news = _news(program, states, where)
             # a row that is told to a replica is one without a mark of change; both sides of the union lie by part
-            news = news.select("part", "vid", *(F.lit(None).cast(kinds[c]).alias(c) for c in ("n_copies", *extra)), "value", F.lit(None).cast("boolean").alias("changed"))
+            news = news.select("part", "vid", *(F.lit(None).cast(kinds[c]).alias(c) for c in ("n_copies", *extra)), "value", *(F.lit(None).cast("boolean").alias(c) for c in ("changed", "heard")))
             rows = states.select(*names).unionByName(news.repartition(k, "part"))
         if local == "arrow":
             solved = edges.groupBy("part").cogroup(rows.groupBy("part")).applyInArrow(_guarded(_arrow_solve(program, extra, most_edges, first), schema), schema)
         else:
             solved = _sql_solve(scratch, program, edges, rows, first)
         mine = F.col("vid").isNotNull()
-        solved = solved.observe(up, F.count(F.when(mine & F.col("changed"), 1)).alias("changed"), F.count(F.when(mine & F.col("changed") & (F.col("n_copies") >= 2), 1)).alias("shared_changed"))
+        many = lambda c, name: F.count(F.when(mine & c, 1)).alias(name)
+        solved = solved.observe(seen, many(F.col("changed"), "changed"), many(F.col("changed") & (F.col("n_copies") >= 2), "shared_changed"), many(F.col("heard"), "heard"))
         if local != "arrow":
             solved = solved.repartition(k, "part")
         stored = scratch.table(solved, "part", k, "states")
         if program.edge_setup is not None:
             edges = stored.where("vid is null").select(F.col("part").alias("part"), "src", "dst", "w", "edge_value")
         states = stored.where("vid is not null").select(*names) if program.edge_setup is not None else stored
-        count = {"changed": 0, "shared_changed": 0} | up.get  # an empty graph observes nothing
-        if moved and not first:
-            moved[-1] += down.get.get("n", 0)
+        count = seen.get
+        if moved:
+            moved[-1] += count["heard"]
         if count["changed"]:
             supersteps += 1
         moved.append(count["shared_changed"])
@@ -214,18 +217,19 @@ def _sql_solve(scratch: Scratch, program: Program, edges: DataFrame, rows: DataF
     half = edges.select("part", F.explode(F.array(F.struct(F.col("src").alias("vid"), F.col("dst").alias("nbr")), F.struct(F.col("dst").alias("vid"), F.col("src").alias("nbr")))).alias("h"), "w").select("part", "h.vid", "h.nbr", "w")
     better = lambda c: F.col(c).isNotNull() & (F.col("value").isNull() | (F.col(c) < F.col("value")))
     states = rows.where("changed is not null")
-    now = states.withColumns({"dirty": F.col("changed"), "changed": F.lit(False)})
+    now = states.withColumns({"dirty": F.col("changed"), "changed": F.lit(False), "heard": F.lit(False)})
     if not first:
-        news = rows.where("changed is null").select("part", "vid", F.col("value").alias("heard"))
-        now = states.join(news, ["part", "vid"], "left").withColumn("dirty", better("heard")).select(*[c for c in states.columns if c not in ("value", "changed")], F.when(F.col("dirty"), F.col("heard")).otherwise(F.col("value")).alias("value"), F.lit(False).alias("changed"), "dirty")
+        news = rows.where("changed is null").select("part", "vid", F.col("value").alias("news"))
+        now = states.join(news, ["part", "vid"], "left").withColumns({"dirty": better("news"), "heard": F.col("news").isNotNull(), "changed": F.lit(False)})
+        now = now.withColumn("value", F.when(F.col("dirty"), F.col("news")).otherwise(F.col("value"))).select(*states.columns, "dirty")
     now = scratch.store(now, "inner")
     while True:
-        told = now.where("dirty").join(half, ["part", "vid"]).groupBy("part", F.col("nbr").alias("vid")).agg(F.min(program.relax(F.col("value"), F.col("w"))).alias("heard"))
+        told = now.where("dirty").join(half, ["part", "vid"]).groupBy("part", F.col("nbr").alias("vid")).agg(F.min(program.relax(F.col("value"), F.col("w"))).alias("told"))
         rest = [c for c in now.columns if c not in ("part", "vid", "value", "changed", "dirty")]
-        now = now.join(told, ["part", "vid"], "left").select("part", "vid", *rest, F.when(better("heard"), F.col("heard")).otherwise(F.col("value")).alias("value"), (F.col("changed") | better("heard")).alias("changed"), better("heard").alias("dirty"))
+        now = now.join(told, ["part", "vid"], "left").select("part", "vid", *rest, F.when(better("told"), F.col("told")).otherwise(F.col("value")).alias("value"), (F.col("changed") | better("told")).alias("changed"), better("told").alias("dirty"))
         now = scratch.store(now, "inner")
         if not now.where("dirty").limit(1).count():
-            return now.drop("dirty")
+            return now.select(*states.columns)
 
 
 def spread_parts(p: EdgePartitioning, workers: int) -> DataFrame:
