@@ -7,13 +7,17 @@ paid too much is halved between the ends of its edge. Small regions are topped u
 units (2**20 to a credit), so no round depends on the order of sums. In the *takeover* version a region that
 is far smaller than the mean may also buy edges of regions larger than the mean.
 
-Two plans give the same result: ``edge`` settles each edge once (offers to the edge, money back to its
-ends), ``mirrored`` sends every offer to both ends of its edge, which both settle it alike, so that a round
-needs one exchange. simulate() runs the same rules in one process, for sweeps over many samples.
+Half-edges, funds, offers and settlements lie in tables bucketed by vertex, so a vertex meets its funds, its
+edges and its money without an exchange. Two plans give the same result: ``edge`` settles each edge once (its
+offers are exchanged by edge, and what comes of them by vertex), ``mirrored`` sends every offer to both ends of
+its edge, which both settle it alike, so that offers and settlements cost one exchange together. The gifts of
+a round take two more in either plan: the first border vertices of each part, and their gifts by vertex.
+simulate() runs the same rules in one process, for sweeps over many samples.
 """
 
 from __future__ import annotations
 
+import functools
 import math
 from collections import defaultdict
 from dataclasses import dataclass
@@ -196,10 +200,10 @@ class _Ties(dict):
 # ---------------------------------------------------------------- on DataFrames
 
 
-def spread_funds(half: DataFrame, funds: DataFrame, levels: DataFrame, rules: Rules) -> tuple[DataFrame, DataFrame]:
-    """(offers, left): offers (src, dst, owner, part, vid, amount, can_buy) of all funds, and the
-    funds (vid, part, units) that stay. half: (vid, src, dst, owner) with owner null for free edges;
-    levels: (part, poor, rich), k rows."""
+def spread_funds(half: DataFrame, funds: DataFrame, levels: DataFrame, rules: Rules) -> DataFrame:
+    """Offers (src, dst, owner, part, vid, amount, can_buy) of all funds (vid, part, units); what is not
+    offered stays. half: (vid, src, dst, owner) with owner null for free edges; levels: (part, poor,
+    rich), k rows."""
     rows = funds.where("units > 0").join(half, "vid")
     if rules.takeover:
         lv = F.broadcast(levels)  # k rows, a parameter
@@ -218,10 +222,7 @@ def spread_funds(half: DataFrame, funds: DataFrame, levels: DataFrame, rules: Ru
         rows = rows.withColumn("n", n).withColumn("place", F.row_number().over(order)).where(F.when(buying, F.col("place") <= F.col("n")).otherwise(~F.col("can_buy")))
     else:
         rows = rows.withColumn("n", F.col("all"))
-    offers = rows.withColumn("amount", F.expr("units div n")).where("amount > 0").select("src", "dst", "owner", "part", "vid", "amount", "can_buy")
-    given = offers.groupBy("vid", "part").agg(F.sum("amount").alias("given"))
-    left = funds.join(given, ["vid", "part"], "left").select("vid", "part", (F.col("units") - F.coalesce("given", F.lit(0))).alias("units")).where("units > 0")
-    return offers, left
+    return rows.withColumn("amount", F.expr("units div n")).where("amount > 0").select("src", "dst", "owner", "part", "vid", "amount", "can_buy")
 
 
 def auction(offers: DataFrame, rules: Rules, at: tuple[str, ...] = ()) -> DataFrame:
@@ -245,7 +246,7 @@ def auction(offers: DataFrame, rules: Rules, at: tuple[str, ...] = ()) -> DataFr
 
 
 def top_up(funds: DataFrame, half: DataFrame, grants: list[int], rules: Rules) -> DataFrame:
-    """funds with each part's grant added: a credit to each of the first vertices, by hash, that have an
+    """Gifts (vid, part, units) of each part's grant: a credit to each of the first vertices, by hash, that have an
     edge of the part and a free one ('border'; evenly if these are fewer), or else evenly to the vertices
     where the part holds funds ('holders'; those at the border where there are none)."""
     table = F.broadcast(funds.sparkSession.createDataFrame([(i, g, g * CREDIT) for i, g in enumerate(grants) if g], "part int, credits int, gift long"))  # k rows
@@ -260,7 +261,7 @@ def top_up(funds: DataFrame, half: DataFrame, grants: list[int], rules: Rules) -
         to = held.unionByName(border.join(held.select("part").distinct(), "part", "left_anti"))
     counts = to.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.min("vid").alias("least")).join(table, "part")
     given = to.join(F.broadcast(counts), "part").select("vid", "part", (F.expr("gift div n") + F.when(F.col("vid") == F.col("least"), F.expr("gift % n")).otherwise(0)).alias("units"))
-    return funds.unionByName(given).groupBy("vid", "part").agg(F.sum("units").alias("units")).where("units > 0")
+    return given
 
 
 def funded_growth(g: EdgeGraph, k: int, seed: int = 0, plan: str = "edge", **options) -> EdgePartitioning:
@@ -282,9 +283,24 @@ def funded_growth(g: EdgeGraph, k: int, seed: int = 0, plan: str = "edge", **opt
 
     own, funds = planted([(a, b, i) for i, (a, b) in enumerate(seeds)])
     funds = funds.groupBy("vid", "part").agg(F.sum("units").alias("units"))
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+    def by_vertex(frame: DataFrame, name: str, lies: bool = False) -> DataFrame:
+        """frame, stored in buckets of its vertices; lies: it lies by vertex already."""
+        return scratch.table(frame if lies else frame.repartition(buckets, "vid"), "vid", buckets, name)
+
+    def owned(half: DataFrame, sold: DataFrame) -> DataFrame:
+        """half with the owner of those that are sold, (vid, src, dst, fresh): by a union that stays in its buckets."""
+        none = F.lit(None).cast("int")
+        both = half.select("vid", "src", "dst", "owner", none.alias("fresh")).unionByName(sold.select("vid", "src", "dst", none.alias("owner"), "fresh"))
+        return both.groupBy("vid", "src", "dst").agg(F.coalesce(F.max("fresh"), F.max("owner")).alias("owner"))
+
+    def total(*parts: DataFrame) -> DataFrame:
+        return functools.reduce(DataFrame.unionByName, (x.select("vid", "part", "units") for x in parts)).groupBy("vid", "part").agg(F.sum("units").alias("units")).where("units > 0")
+
     # the half-edges carry the owner of their edge; both halves of an edge always agree
     half = EdgeGraph(edges).half_edges().select("vid", "src", "dst").join(F.broadcast(own), ["src", "dst"], "left").select("vid", "src", "dst", F.col("fresh").alias("owner"))
-    half, funds = scratch.store(half, "half"), scratch.store(funds, "funds")
+    half, funds = by_vertex(half, "half"), by_vertex(funds, "funds")
     sizes = [0] * k
     for i in range(len(seeds)):
         sizes[i] = 1
@@ -295,33 +311,29 @@ def funded_growth(g: EdgeGraph, k: int, seed: int = 0, plan: str = "edge", **opt
             raise RuntimeError(f"{m - sum(sizes)} edges are free after {rules.most_rounds} rounds")
         poor, rich = rules.poor_rich(sizes)
         levels = spark.createDataFrame([(i, poor[i], rich[i]) for i in range(k)], "part int, poor boolean, rich boolean")
-        offers, left = spread_funds(half, funds, levels, rules)
+        offers = by_vertex(spread_funds(half, funds, levels, rules).select("src", "dst", "owner", F.col("part").cast("int").alias("part"), "vid", "amount", "can_buy"), "offers", True)
         if plan == "mirrored":
-            both = offers.withColumn("at", F.explode(F.array("src", "dst"))).repartition("at")
-            settled = scratch.store(auction(both, rules, ("at",)), "settled")
-            money = settled.select(F.col("at").alias("vid"), "part", F.when(F.col("at") == F.col("src"), F.col("to_src")).otherwise(F.col("to_dst")).alias("units"))
-            sold = settled.where("bought and part = new_owner").select(F.col("at").alias("vid"), "src", "dst", F.col("new_owner").alias("fresh"), "owner")
-            half_keys = ["vid", "src", "dst"]
+            both = offers.withColumn("at", F.explode(F.array("src", "dst"))).repartition(buckets, "at")
+            settled = auction(both, rules, ("at",)).select(F.col("at").alias("vid"), "src", "dst", "owner", "part", "new_owner", "bought", F.when(F.col("at") == F.col("src"), F.col("to_src")).otherwise(F.col("to_dst")).alias("units"))
+            settled = by_vertex(settled, "settled", True)
         else:
-            settled = scratch.store(auction(offers, rules), "settled")
-            money = settled.select("part", F.explode(F.array(F.struct(F.col("src").alias("vid"), F.col("to_src").alias("units")), F.struct(F.col("dst").alias("vid"), F.col("to_dst").alias("units")))).alias("x")).select("x.vid", "part", "x.units")
-            sold = settled.where("bought and part = new_owner").select("src", "dst", F.col("new_owner").alias("fresh"), "owner")
-            half_keys = ["src", "dst"]
-        moves = sold.groupBy(F.col("owner").alias("lost"), F.col("fresh").alias("won")).agg(F.count(F.lit(1)).alias("n")).collect()  # k * k rows at most
-        copies = 2 if plan == "mirrored" else 1
-        changed = sum(r["n"] for r in moves) // copies
+            ends = F.explode(F.array(F.struct(F.col("src").alias("vid"), F.col("to_src").alias("units")), F.struct(F.col("dst").alias("vid"), F.col("to_dst").alias("units"))))
+            settled = auction(offers, rules).withColumn("x", ends).select("x.vid", "src", "dst", "owner", "part", "new_owner", "bought", "x.units")
+            settled = by_vertex(settled, "settled")
+        sold = settled.where("bought and part = new_owner").select("vid", "src", "dst", F.col("new_owner").alias("fresh"), "owner")
+        moves = sold.where("vid = src").groupBy(F.col("owner").alias("lost"), F.col("fresh").alias("won")).agg(F.count(F.lit(1)).alias("n")).collect()  # k * k rows at most
+        changed = sum(r["n"] for r in moves)
         for r in moves:
-            sizes[r["won"]] += r["n"] // copies
+            sizes[r["won"]] += r["n"]
             if r["lost"] is not None:
-                sizes[r["lost"]] -= r["n"] // copies
-        fresh = sold.select(*half_keys, "fresh")
-        half = half.join(fresh, half_keys, "left").select("vid", "src", "dst", F.coalesce("fresh", "owner").alias("owner"))
-        half = scratch.store(half, "half")
-        funds = left.unionByName(money.select("vid", "part", "units")).groupBy("vid", "part").agg(F.sum("units").alias("units")).where("units > 0")
+                sizes[r["lost"]] -= r["n"]
+        half = by_vertex(owned(half, sold), "half", True)
+        funds = total(funds, offers.withColumn("units", -F.col("amount")), settled)
         grants = rules.grants(sizes, alive) if sum(sizes) < m else [0] * k
         if any(grants):
-            funds = top_up(scratch.store(funds, "unfunded"), half, grants, rules)
-        funds = scratch.store(funds, "funds")
+            funds = by_vertex(funds, "unfunded", True)
+            funds = total(funds, top_up(funds, half, grants, rules).repartition(buckets, "vid"))
+        funds = by_vertex(funds, "funds", True)
         history.append({"round": len(history) + 1, "free": m - sum(sizes), "changed": changed, "smallest": min(sizes), "largest": max(sizes), "units": funds.agg(F.sum("units")).first()[0] or 0})
         if not changed and sum(sizes) < m:
             reach = half.groupBy("vid").agg(F.max(F.col("owner").isNull()).alias("open"), F.max(F.col("owner").isNotNull()).alias("taken")).where("open and taken").limit(1).count()
@@ -330,13 +342,13 @@ def funded_growth(g: EdgeGraph, k: int, seed: int = 0, plan: str = "edge", **opt
                 if rules.unreached == "error":
                     raise RuntimeError(f"{m - sum(sizes)} edges cannot be reached from any seed")
                 if rules.unreached == "fill":
-                    half = scratch.store(half.withColumn("owner", F.coalesce("owner", F.lit(least))), "half")
+                    half = by_vertex(half.withColumn("owner", F.coalesce("owner", F.lit(least))), "half")
                     sizes[least] += m - sum(sizes)
                 else:
                     e = half.where("owner is null").orderBy(portable_hash(seed, F.col("src"), F.col("dst")), "src", "dst").first()
                     own, money = planted([(e["src"], e["dst"], least)])
-                    half = scratch.store(half.join(F.broadcast(own), ["src", "dst"], "left").select("vid", "src", "dst", F.coalesce("fresh", "owner").alias("owner")), "half")
-                    funds = scratch.store(funds.unionByName(money).groupBy("vid", "part").agg(F.sum("units").alias("units")), "funds")
+                    half = by_vertex(half.join(F.broadcast(own), ["src", "dst"], "left").select("vid", "src", "dst", F.coalesce("fresh", "owner").alias("owner")), "half")
+                    funds = by_vertex(total(funds, money), "funds")
                     sizes[least] += 1
                 alive[least] = True
     assigned = scratch.store(half.where("vid = src").select("src", "dst", F.col("owner").cast("int").alias("part")))
