@@ -5,18 +5,19 @@ Every text is cut into phrases at *triggers*: places where the rolling hash of t
 alone, so a repeated passage is parsed alike wherever it stands, and a long repeat costs a few
 phrases and not a suffix for each byte.
 
-All suffixes that begin inside one phrase are told apart by (rest of the phrase, what follows). The
-window rule needs of the corpus order only which suffixes share their first ``width`` bytes, so it
-sorts these groups by hash and not by letter:
-
 1. *parse*: each phrase occurrence asks with the phrase that follows it and with its *context* (its
-   own bytes and the ``width`` bytes after it). Contexts that occur twice settle all their windows.
-   A following phrase that occurs in one context only cannot lie in a window that another context
-   shares, nor can any phrase that occurs once.
-2. *dictionary*: the remaining groups, at the borders of repeats, compare their windows one by one;
-   of equal contexts one stands for all.
-
-Windows too long for a whole phrase (between two far triggers) always go to step 2.
+   own bytes and the ``width`` bytes after it, by SHA-256). Contexts that occur twice settle all their
+   windows. A following phrase that occurs in one context only cannot lie in a window that another
+   context shares, nor can any phrase that occurs once.
+2. *order*: what is left, at the borders of repeats, goes to the owner of the following phrase with its
+   bytes; of equal contexts one stands for all. The owner parses these regions again, sorts the suffixes of
+   its dictionary of phrases, and the suffixes of its parse by the ranks of their phrases; a place of the text
+   is ordered by its dictionary suffix and then by the parse suffix that follows, which gives the order of all
+   windows. Neighbours in that order are compared byte by byte over the width: equal ones are repeats.
+
+Phrases followed by more than ``crowd`` contexts, and windows too long for a whole phrase (between two far
+triggers), would put any number of regions into one task. Their windows are told apart by 128 bits of their
+SHA-256 instead, each at an owner of its own.
 """
 
 from __future__ import annotations
@@ -29,10 +30,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import board as B
-from .rolling import Prefix, covered, spread, text_bytes
+from .rolling import Prefix, covered, digest, spread, text_bytes
 
 TRIGGER, SPACING = 8, 32
-_NEXT, _CONTEXT, _WINDOW = 0, 1, 2
+_NEXT, _CONTEXT, _WINDOW, _REGION = 0, 1, 2, 3
 RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 SPANS = "doc_id long, n_bytes long, starts array<long>, ends array<long>, kept binary"
 
@@ -74,28 +75,37 @@ class _Groups:
         a = self.asks
         self.phrase_end, self.doc = follow[a] + TRIGGER, doc[a]
         self.next_key = self.sums.at(at[a], follow[a] + TRIGGER)
-        self.context_key = self.sums.at(self.lo[a], np.minimum(at[a] + width, off[doc[a] + 1]))
+        key = digest(memoryview(data), self.lo[a], np.minimum(at[a] + width, off[doc[a] + 1])) & np.array([0xFFFFFFFFFFFFFFFF, 0xFFFFFFFF], dtype=np.uint64)  # 96 bits travel
+        # distinct contexts of this chunk, which of them each group has, and where each stands first
+        self.context_key, self.context, _ = B.repeats_wide(key)
+        self.lead = np.zeros(len(self.context_key), dtype=np.int64)
+        self.lead[self.context[::-1]] = np.arange(len(a))[::-1]
 
     def questions(self) -> tuple:
-        """Distinct following phrases, each with its context if there is one only in this chunk; the contexts of the others."""
+        """Distinct following phrases, each with its context if there is one only in this chunk (else with the
+        number of contexts); the contexts of the others."""
         phrase, place, _ = B.repeats(self.next_key)
-        first = np.zeros(len(phrase), dtype=np.uint64)
-        first[place] = self.context_key
+        first = np.zeros(len(phrase), dtype=np.int64)
+        first[place] = self.context
         many = np.zeros(len(phrase), dtype=bool)
-        many[place[self.context_key != first[place]]] = True
+        many[place[self.context != first[place]]] = True
         alone = ~many[place]
         twice = np.bincount(place, minlength=len(phrase)) >= 2
-        context, at, count = B.repeats(self.context_key[~alone])
-        return phrase, place, first, many, twice & ~many, alone, context, at, count >= 2
-
-    def hard(self, table: pa.Table, boards: int) -> tuple[np.ndarray, np.ndarray]:
-        """From the answers: groups whose windows all repeat, and starts to be compared one by one."""
+        n = np.bincount(place[self.lead], minlength=len(phrase)).astype(np.uint64)
+        told = self.context_key[first] if len(phrase) else np.zeros((0, 2), dtype=np.uint64)
+        told = np.where(many[:, None], np.stack((n, n), axis=1), told)
+        context, at, count = np.unique(self.context[~alone], return_inverse=True, return_counts=True)
+        return phrase, place, told, many, twice & ~many, alone, self.context_key[context], at.reshape(-1), count >= 2
+
+    def hard(self, table: pa.Table, boards: int) -> tuple[np.ndarray, tuple, np.ndarray]:
+        """From the answers: groups whose windows all repeat; regions (phrase key, first window, windows) sorted by
+        key; and starts to be compared one by one."""
         phrase, place, _, _, _, alone, context, at, _ = self.questions()
         settled, emits = np.zeros(len(self.asks), dtype=bool), np.zeros(len(self.asks), dtype=bool)
-        several, repeated, leads = B.answers(table, _NEXT, phrase, boards, 3)
+        several, repeated, leads, crowded = B.answers(table, _NEXT, phrase, boards, 4)
         settled[alone] = repeated[place[alone]]
         emits[alone] = leads[place[alone]]
-        repeated, leads = B.answers(table, _CONTEXT, context, boards, 2)
+        repeated, leads = B.answers(table, _CONTEXT, context[:, 0], boards, 2)
         settled[~alone] = repeated[at]
         emits[~alone] = leads[at]
         emits &= several[place]
@@ -108,87 +118,184 @@ class _Groups:
         has[has] = self.doc[after[has]] == self.doc[has]
         bound[has] = self.phrase_end[after[has]] - self.width
         # of equal contexts in this chunk, one compares its windows
-        _, first = np.unique(self.context_key, return_index=True)
         one = np.zeros(len(self.asks), dtype=bool)
-        one[first] = True
+        one[self.lead] = True
         go = np.flatnonzero(emits & one)
         at = self.asks[go]
-        starts = np.concatenate((spread(self.lo, self.whole), spread(self.whole[at], np.maximum(self.whole[at], np.minimum(self.hi[at] + 1, bound[go])))))
-        return self.asks[settled], starts
+        low, high = self.whole[at], np.minimum(self.hi[at] + 1, bound[go])
+        some = high > low
+        near = some & ~crowded[place[go]]
+        order = np.argsort(self.next_key[go[near]], kind="stable")
+        regions = tuple(x[near][order] for x in (self.next_key[go], low, high - low))
+        far = some & crowded[place[go]]
+        starts = np.concatenate((spread(self.lo, self.whole), spread(low[far], high[far])))
+        return self.asks[settled], regions, starts
 
 
-def _first_answer(kind: int, parts: list) -> list[list[np.ndarray]]:
+def _first_answer(kind: int, parts: list, crowd: int) -> list[list[np.ndarray]]:
     sizes = [n for _, n, _ in parts]
     ends = np.cumsum(sizes)[:-1]
     if kind == _NEXT:
-        cols = [np.concatenate(x) for x in zip(*(B.unpack(n, body, [np.uint64, np.uint64], 2) for _, n, body in parts), strict=True)]
-        phrase, context, many, twice = cols
-        order = np.lexsort((context, many, phrase))
-        p, c, m = phrase[order], context[order], many[order]
+        cols = [np.concatenate(x) for x in zip(*(B.unpack(n, body, [np.uint32, np.uint64, np.uint32], 2) for _, n, body in parts), strict=True)]
+        phrase, context, rest, many, twice = cols
+        order = np.lexsort((rest, context, many, phrase))
+        p, c, e, m = phrase[order], context[order], rest[order], many[order]
         new_phrase = np.ones(len(p), dtype=bool)
         new_phrase[1:] = p[1:] != p[:-1]
         new_pair = new_phrase.copy()
-        new_pair[1:] |= (c[1:] != c[:-1]) | m[1:] | m[:-1]
+        new_pair[1:] |= (c[1:] != c[:-1]) | (e[1:] != e[:-1]) | m[1:] | m[:-1]
         group = np.cumsum(new_phrase) - 1
         pairs = np.bincount(group, weights=new_pair) + np.bincount(group, weights=m)
         several_s = pairs[group] >= 2
+        load = np.bincount(group, weights=np.where(m, c, new_pair).astype(np.float64))
         pair = np.cumsum(new_pair) - 1
         repeated_s = ((np.bincount(pair)[pair] >= 2) | (np.bincount(pair, weights=twice[order])[pair] > 0)) & ~m
         leads_s = ~repeated_s | new_pair
         back = np.empty(len(p), dtype=np.int64)
         back[order] = np.arange(len(p))
-        bits = [x[back] for x in (several_s, repeated_s, leads_s)]
+        bits = [x[back] for x in (several_s, repeated_s, leads_s, load[group] > crowd)]
     else:
-        context, twice = (np.concatenate(x) for x in zip(*(B.unpack(n, body, [np.uint64], 1) for _, n, body in parts), strict=True))
-        uniq, first, place, count = np.unique(context, return_index=True, return_inverse=True, return_counts=True)
+        context, rest, twice = (np.concatenate(x) for x in zip(*(B.unpack(n, body, [np.uint64, np.uint32], 1) for _, n, body in parts), strict=True))
+        _, place, count = B.repeats_wide(np.stack((context, rest.astype(np.uint64)), axis=1))
         repeated = (count[place] >= 2) | (np.bincount(place, weights=twice)[place] > 0)
         lead = np.zeros(len(context), dtype=bool)
-        lead[first] = True
+        lead[np.unique(place, return_index=True)[1]] = True
         bits = [repeated, ~repeated | lead]
     return [list(x) for x in zip(*(np.split(b, ends) for b in bits), strict=True)]
 
 
-def _second_answer(_: int, parts: list) -> list[list[np.ndarray]]:
-    sizes = [n for _, n, _ in parts]
-    keys, twice = (np.concatenate(x) for x in zip(*(B.unpack(n, body, [np.uint64], 1) for _, n, body in parts), strict=True))
-    uniq, place, count = B.repeats(keys)
-    hot = (count >= 2) | (np.bincount(place, weights=twice, minlength=len(uniq)) > 0)
-    return [[x] for x in np.split(hot[place], np.cumsum(sizes)[:-1])]
-
-
-def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spacing: int, finish, schema: str) -> DataFrame:
+def _dense(keys: np.ndarray) -> tuple[np.ndarray, int]:
+    """Ranks from 0, equal ones for equal keys, and how many there are."""
+    uniq, rank = np.unique(keys, return_inverse=True)
+    return rank.reshape(-1), len(uniq)
+
+
+def _doubled(rank: np.ndarray, classes: int, end: np.ndarray, depth: int, most: int) -> np.ndarray:
+    """Ranks of whole suffixes from those of their first depth items: a suffix ends before its place in end,
+    and what lies behind an end is smaller than all else. Stops at most items, or when nothing changes."""
+    n, here = len(rank), np.arange(len(rank))
+    while depth < most:
+        to = here + depth
+        next_ = np.where(to < end, rank[np.minimum(to, n - 1)] + 1, 0)
+        after, found = _dense(rank * (n + 1) + next_)
+        if found == classes:
+            break
+        rank, classes, depth = after, found, 2 * depth
+    return rank
+
+
+def suffix_order(text: np.ndarray, off: np.ndarray, starts: np.ndarray, spacing: int, width: int) -> np.ndarray:
+    """The starts (places in text, with width bytes before the end of their region) in the order of the text
+    that begins there, as far as width bytes go; off: the offsets of the regions of text."""
+    at = np.flatnonzero(Prefix.of_bytes(text).every(TRIGGER) >> np.uint64(40) < np.uint64((1 << 24) // spacing))
+    at = at[at + TRIGGER <= off[np.searchsorted(off, at, side="right")]]
+    # phrases: from a region's start or a trigger to the end of the next trigger, or of the region
+    lo = np.union1d(off[:-1], at)
+    region = np.searchsorted(off, lo, side="right") - 1
+    last = np.ones(len(lo), dtype=bool)
+    last[:-1] = region[1:] != region[:-1]
+    hi = np.where(last, off[region + 1], np.append(lo[1:], 0) + TRIGGER)
+    # the dictionary
+    known: dict[tuple[bytes, bool], int] = {}
+    data = text.tobytes()
+    phrase = np.fromiter((known.setdefault((data[a:b], z), len(known)) for a, b, z in zip(lo.tolist(), hi.tolist(), last.tolist(), strict=True)), dtype=np.int64, count=len(lo))
+    words = [w for w, _ in known]
+    size = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
+    begin = np.concatenate(([0], np.cumsum(size)))
+    letters = np.frombuffer(b"".join(words), dtype=np.uint8)
+    end = np.repeat(begin[1:], size)
+    # its suffix array, from seven letters on
+    here = np.arange(len(letters))
+    first = np.zeros(len(letters), dtype=np.int64)
+    for j in range(7):
+        first = first << 9 | np.where(here + j < end, letters[np.minimum(here + j, len(letters) - 1)].astype(np.int64) + 1, 0)
+    rank = _doubled(*_dense(first), end, 7, int(size.max(initial=0)))
+    # the suffix array of the parse, whose letters are the ranks of the phrases
+    spelled, found = _dense(rank[begin[phrase]])
+    of_region = np.append(np.flatnonzero(last) + 1, 0)[np.cumsum(last) - last]
+    follow = _doubled(spelled, found, of_region, 1, width)
+    # both together
+    t = np.searchsorted(lo, starts, side="right") - 1
+    after = np.where(last[t], 0, follow[np.minimum(t + 1, len(lo) - 1)] + 1)
+    return np.lexsort((after, rank[begin[phrase[t]] + starts - lo[t]]))
+
+
+def repeated_windows(text: np.ndarray, off: np.ndarray, starts: np.ndarray, spacing: int, width: int) -> np.ndarray:
+    """Which of the starts have width bytes in common with another one."""
+    order = suffix_order(text, off, starts, spacing, width)
+    a, b = starts[order[:-1]], starts[order[1:]]
+    same = np.arange(len(a))
+    step = 8 if width >= 8 else 1
+    letters = np.ndarray((max(0, len(text) - step + 1),), dtype=f"<u{step}", buffer=text.tobytes(), strides=(1,))  # step bytes from each place on
+    for j in [*range(0, width - step, step), width - step]:
+        same = same[letters[a[same] + j] == letters[b[same] + j]]
+    out = np.zeros(len(starts), dtype=bool)
+    out[order[same]] = True
+    out[order[same + 1]] = True
+    return out
+
+
+def _second_answer(kind: int, parts: list, spacing: int, width: int) -> list[list[np.ndarray]]:
+    if kind == _REGION:
+        counts = [np.frombuffer(body, dtype=np.uint32, count=n).astype(np.int64) for _, n, body in parts]
+        text = np.frombuffer(b"".join(body[4 * n :] for _, n, body in parts), dtype=np.uint8)
+        n = np.concatenate(counts)
+        off = np.concatenate(([0], np.cumsum(n + width - 1)))
+        hot = repeated_windows(text, off, spread(off[:-1], off[:-1] + n), spacing, width)
+        return [[x] for x in np.split(hot, np.cumsum([c.sum() for c in counts])[:-1])]
+    keys, twice = [], []
+    for _, n, body in parts:
+        keys.append(np.frombuffer(body, dtype=np.uint64, count=2 * n).reshape(-1, 2))
+        twice += B.unpack(n, body[16 * n :], [], 1)
+    _, place, count = B.repeats_wide(np.concatenate(keys))
+    hot = (count >= 2) | (np.bincount(place, weights=np.concatenate(twice), minlength=len(count)) > 0)
+    return [[x] for x in np.split(hot[place], np.cumsum([n for _, n, _ in parts])[:-1])]
+
+
+def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spacing: int, finish, schema: str, crowd: int) -> DataFrame:
     dealt, size = B.deal(docs, chunk_bytes)
     phrase_boards = max(1, math.ceil(size / spacing / board_keys))
-    window_boards = max(1, math.ceil(size / 12 / board_keys))
+    window_boards = max(1, math.ceil(size / 24 / board_keys))
+    region_boards = max(1, math.ceil(size / (4 * board_keys)))
 
     def parse(table: pa.Table) -> pa.Table:
         chunk = table["chunk"][0].as_py()
         g = _Groups(*text_bytes(table["text"]), width, spacing)
-        phrase, _, first, many, twice, _, context, _, again = g.questions()
-        return B.asked_table([*B.ask(chunk, _NEXT, phrase, [phrase, first], [many, twice], phrase_boards), *B.ask(chunk, _CONTEXT, context, [context], [again], phrase_boards)])
+        phrase, _, told, many, twice, _, context, _, again = g.questions()
+        low = lambda x: (x & np.uint64(0xFFFFFFFF)).astype(np.uint32)
+        return B.asked_table([*B.ask(chunk, _NEXT, phrase, [low(phrase), told[:, 0], low(told[:, 1])], [many, twice], phrase_boards), *B.ask(chunk, _CONTEXT, context[:, 0], [context[:, 0], low(context[:, 1])], [again], phrase_boards)])
+
+    def windows(g: _Groups, starts: np.ndarray) -> tuple:
+        return B.repeats_wide(digest(memoryview(g.data), starts, starts + width))
 
     def compare(key, left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
             return B.asked_table([])
+        chunk = key[0].as_py()
         g = _Groups(*text_bytes(left["text"]), width, spacing)
-        _, starts = g.hard(right, phrase_boards)
-        keys, _, count = B.repeats(g.sums.at(starts, starts + width))
-        return B.asked_table(B.ask(key[0].as_py(), _WINDOW, keys, [keys], [count >= 2], window_boards))
+        _, (phrase, low, n), starts = g.hard(right, phrase_boards)
+        rows, at = [], B.cuts(phrase, region_boards)
+        for b in np.flatnonzero(np.diff(at)):
+            part = slice(at[b], at[b + 1])
+            rows.append((int(b), chunk, _REGION, int(at[b + 1] - at[b]), n[part].astype(np.uint32).tobytes() + g.data[spread(low[part], low[part] + n[part] + width - 1)].tobytes()))
+        keys, _, count = windows(g, starts)
+        return B.asked_table([*rows, *B.ask(chunk, _WINDOW, keys[:, 0], [keys], [count >= 2], window_boards)])
 
     def remove(_, left: pa.Table, right: pa.Table) -> pa.Table:
         data, off = text_bytes(left["text"])
         gone = np.zeros(len(data), dtype=bool)
         if len(data):
             g = _Groups(data, off, width, spacing)
-            settled, starts = g.hard(right, phrase_boards)
-            keys, place, _ = B.repeats(g.sums.at(starts, starts + width))
-            (hot,) = B.answers(right, _WINDOW, keys, window_boards, 1)
-            gone = covered(np.concatenate((spread(g.lo[settled], g.hi[settled] + 1), starts[hot[place]])), width, len(data))
+            settled, (phrase, low, n), starts = g.hard(right, phrase_boards)
+            keys, place, _ = windows(g, starts)
+            (hot,) = B.answers(right, _WINDOW, keys[:, 0], window_boards, 1)
+            (also,) = B.answers(right, _REGION, np.repeat(phrase, n), region_boards, 1)
+            gone = covered(np.concatenate((spread(g.lo[settled], g.hi[settled] + 1), starts[hot[place]], spread(low, low + n)[also])), width, len(data))
         return finish(left["doc_id"], data, off, gone)
 
     by_chunk = dealt.groupBy("chunk")
-    first = by_chunk.applyInArrow(parse, B.ASKED).groupBy("board").applyInArrow(B.owner(_first_answer), B.ANSWERED)
-    second = by_chunk.cogroup(first.groupBy("chunk")).applyInArrow(compare, B.ASKED).groupBy("board").applyInArrow(B.owner(_second_answer), B.ANSWERED)
+    first = by_chunk.applyInArrow(parse, B.ASKED).groupBy("board").applyInArrow(B.owner(lambda kind, parts: _first_answer(kind, parts, crowd)), B.ANSWERED)
+    second = by_chunk.cogroup(first.groupBy("chunk")).applyInArrow(compare, B.ASKED).groupBy("board").applyInArrow(B.owner(lambda kind, parts: _second_answer(kind, parts, spacing, width)), B.ANSWERED)
     return dealt.groupBy("chunk").cogroup(first.unionByName(second).groupBy("chunk")).applyInArrow(remove, schema)
 
 
@@ -222,7 +329,7 @@ def _whole(ids, data, off, gone) -> pa.Table:
     })
 
 
-def repeated_spans(docs: DataFrame, width: int = 200, chunk_bytes: int = 1_500_000, board_keys: int = 400_000, spacing: int = SPACING, digest: bool = False) -> DataFrame:
+def repeated_spans(docs: DataFrame, width: int = 200, chunk_bytes: int = 1_500_000, board_keys: int = 400_000, spacing: int = SPACING, digest: bool = False, crowd: int = 4096) -> DataFrame:
     """Bytes covered by a string of ``width`` bytes that also starts anywhere else in the corpus.
 
     docs: doc_id, text (other columns are ignored). One row per input row, repeated rows included:
@@ -231,5 +338,5 @@ def repeated_spans(docs: DataFrame, width: int = 200, chunk_bytes: int = 1_500_0
     one too. A null doc_id is kept as such. An empty table gives no rows.
     """
     if digest:
-        return _chunks(docs, width, chunk_bytes, board_keys, spacing, _digest, RESULT)
-    return _chunks(docs, width, chunk_bytes, board_keys, spacing, _whole, SPANS)
+        return _chunks(docs, width, chunk_bytes, board_keys, spacing, _digest, RESULT, crowd)
+    return _chunks(docs, width, chunk_bytes, board_keys, spacing, _whole, SPANS, crowd)

@@ -94,3 +94,51 @@ def test_empty_table_and_texts(spark):
     assert repeated_passages(one).first().kept_text == "a b  c"
     assert repeated_passages(one, digest=True).first().kept_sha256 == sha(b"a b c")
     assert bytes(repeated_spans(one).first().kept) == b"a b  c"
+
+
+def test_order_is_that_of_the_bytes():
+    """Windows in the order of dictionary and parse suffixes against windows sorted as bytes."""
+    import numpy as np
+
+    from edgegraph.llm.rolling import spread
+    from edgegraph.llm.suffix import repeated_windows, suffix_order
+
+    rng = random.Random(0)
+    for _ in range(40):
+        width, base = rng.choice([20, 40, 60]), bytes(rng.choice(b"abcd") for _ in range(300))
+        regions = []
+        for _ in range(rng.randint(1, 12)):
+            a = rng.randint(0, 200)
+            r = bytearray(base[a : a + rng.randint(width, 100)])
+            if rng.random() < 0.5:
+                r[rng.randrange(len(r))] = rng.choice(b"abcd")
+            regions.append(bytes(r))
+        text = np.frombuffer(b"".join(regions), dtype=np.uint8)
+        off = np.concatenate(([0], np.cumsum([len(r) for r in regions])))
+        starts = spread(off[:-1], off[1:] - width + 1)
+        own = [text[i : i + width].tobytes() for i in starts]
+        for spacing in (1, 4, 64):
+            order = suffix_order(text, off, starts, spacing, width)
+            assert [own[i] for i in order] == sorted(own)
+            assert repeated_windows(text, off, starts, spacing, width).tolist() == [own.count(w) > 1 for w in own]
+
+
+def test_spans_rest_on_the_order(spark, monkeypatch):
+    """Without the order of the suffixes, repeats at the borders are missed; crowded phrases go another way."""
+    rows = corpus(3)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = sorted(brute_bytes(rows, 60), key=str)
+    run = lambda **o: sorted((tuple(r) for r in repeated_spans(docs, width=60, chunk_bytes=4000, board_keys=5000, spacing=8, digest=True, **o).collect()), key=str)
+    assert run() == want == run(crowd=1)
+
+
+def test_long_texts_and_empty_tables(spark):
+    rng = random.Random(8)
+    line = " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(40))
+    rows = [(1, "x" * 300_000), (2, line + " " + "y" * 200_000 + " " + line), (3, "ab" * 100_000 + line), (4, "\n".join(f"{i}" for i in range(40_000)))]
+    docs = spark.createDataFrame([(d, t, "x") for d, t in rows], "doc_id long, text string, kept string")
+    got = {r.doc_id: r for r in repeated_spans(docs, digest=True).collect()}
+    assert got[1].n_removed == 300_000 and got[1].n_spans == 1 and got[4].n_removed == 0
+    assert got[2].n_removed == 200_000 + 2 * len(line) and got[3].n_removed == 200_000 + len(line)
+    words = {r.doc_id: r.n_removed for r in repeated_passages(docs, width=20, digest=True).collect()}
+    assert words[1] == 0 and words[2] == 0 and words[3] >= 39
