@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import board as B
-from .rolling import Prefix, covered, digest, spread, text_bytes
+from .rolling import Prefix, covered, digest, mix, spread, text_bytes
 
 TRIGGER, SPACING = 8, 32
 _NEXT, _CONTEXT, _WINDOW, _REGION = 0, 1, 2, 3
@@ -38,14 +38,52 @@ RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 s
 SPANS = "doc_id long, n_bytes long, starts array<long>, ends array<long>, kept binary"
 
 
+def _triggers(data: np.ndarray, spacing: int) -> np.ndarray:
+    """Places where the hash of TRIGGER bytes falls into a class of about one in spacing."""
+    n = max(0, len(data) - TRIGGER + 1)
+    every = np.ndarray((n,), dtype="<u8", buffer=np.ascontiguousarray(data), strides=(1,)) if n else np.zeros(0, dtype=np.uint64)
+    limit, step = np.uint64((1 << 24) // spacing), 1 << 15
+    found = [np.flatnonzero(mix(mix(every[i : i + step]) + np.uint64(1)) >> np.uint64(40) < limit) + i for i in range(0, n, step)]
+    return np.concatenate(found) if found else np.zeros(0, dtype=np.int64)
+
+
+class _Classes:
+    """Strings data[lo:hi] of a chunk by equality: the class of each, in the order of a hash. Strings that
+    share their hash with another one of the chunk are told apart by SHA-256."""
+
+    def __init__(self, data: np.ndarray, sums: Prefix, lo: np.ndarray, hi: np.ndarray) -> None:
+        self.data, self.lo, self.hi = memoryview(data), lo, hi
+        key = sums.at(lo, hi)
+        order = np.argsort(key, kind="stable")
+        ranked = key[order]
+        new = np.ones(len(key), dtype=bool)
+        new[1:] = ranked[1:] != ranked[:-1]
+        twins = ~new
+        twins[:-1] |= ~new[1:]
+        if twins.any():
+            at = order[twins]
+            sha = digest(self.data, lo[at], hi[at])
+            within = np.lexsort((sha[:, 1], sha[:, 0], ranked[twins]))
+            order[twins], sha = at[within], sha[within]
+            new[np.flatnonzero(twins)[1:]] |= (sha[1:] != sha[:-1]).any(axis=1)
+        self.place = np.empty(len(key), dtype=np.int64)
+        self.place[order] = np.cumsum(new) - 1
+        self.first = order[new]  # one of each class
+        self.key, self.count = ranked[new], np.diff(np.append(np.flatnonzero(new), len(key)))
+
+    def digests(self, which: np.ndarray | slice = slice(None)) -> np.ndarray:
+        """128 bits of the SHA-256 of classes."""
+        at = self.first[which]
+        return digest(self.data, self.lo[at], self.hi[at])
+
+
 class _Groups:
     """The windows of a chunk, grouped by the first trigger at or after their start."""
 
     def __init__(self, data: np.ndarray, off: np.ndarray, width: int, spacing: int) -> None:
         self.data, self.off, self.width = data, off, width
         self.sums = Prefix.of_bytes(data)
-        short = self.sums.every(TRIGGER)
-        at = np.flatnonzero(short >> np.uint64(40) < np.uint64((1 << 24) // spacing))
+        at = _triggers(data, spacing)
         doc = np.searchsorted(off, at, side="right") - 1
         fits = at + TRIGGER <= off[doc + 1]
         at, doc = at[fits], doc[fits]
@@ -75,37 +113,31 @@ class _Groups:
         a = self.asks
         self.phrase_end, self.doc = follow[a] + TRIGGER, doc[a]
         self.next_key = self.sums.at(at[a], follow[a] + TRIGGER)
-        key = digest(memoryview(data), self.lo[a], np.minimum(at[a] + width, off[doc[a] + 1])) & np.array([0xFFFFFFFFFFFFFFFF, 0xFFFFFFFF], dtype=np.uint64)  # 96 bits travel
-        # distinct contexts of this chunk, which of them each group has, and where each stands first
-        self.context_key, self.context, _ = B.repeats_wide(key)
-        self.lead = np.zeros(len(self.context_key), dtype=np.int64)
-        self.lead[self.context[::-1]] = np.arange(len(a))[::-1]
+        self.context = _Classes(data, self.sums, self.lo[a], np.minimum(at[a] + width, off[doc[a] + 1]))
 
     def questions(self) -> tuple:
-        """Distinct following phrases, each with its context if there is one only in this chunk (else with the
-        number of contexts); the contexts of the others."""
+        """Distinct following phrases, the context of each if there is one only in this chunk, and their number;
+        and the contexts of the others."""
         phrase, place, _ = B.repeats(self.next_key)
         first = np.zeros(len(phrase), dtype=np.int64)
-        first[place] = self.context
+        first[place] = self.context.place
         many = np.zeros(len(phrase), dtype=bool)
-        many[place[self.context != first[place]]] = True
+        many[place[self.context.place != first[place]]] = True
         alone = ~many[place]
         twice = np.bincount(place, minlength=len(phrase)) >= 2
-        n = np.bincount(place[self.lead], minlength=len(phrase)).astype(np.uint64)
-        told = self.context_key[first] if len(phrase) else np.zeros((0, 2), dtype=np.uint64)
-        told = np.where(many[:, None], np.stack((n, n), axis=1), told)
-        context, at, count = np.unique(self.context[~alone], return_inverse=True, return_counts=True)
-        return phrase, place, told, many, twice & ~many, alone, self.context_key[context], at.reshape(-1), count >= 2
+        n = np.bincount(place[self.context.first], minlength=len(phrase)).astype(np.uint64)
+        context, at, count = np.unique(self.context.place[~alone], return_inverse=True, return_counts=True)
+        return phrase, place, first, n, many, twice & ~many, alone, context, at.reshape(-1), count >= 2
 
     def hard(self, table: pa.Table, boards: int) -> tuple[np.ndarray, tuple, np.ndarray]:
         """From the answers: groups whose windows all repeat; regions (phrase key, first window, windows) sorted by
         key; and starts to be compared one by one."""
-        phrase, place, _, _, _, alone, context, at, _ = self.questions()
+        phrase, place, _, _, _, _, alone, context, at, _ = self.questions()
         settled, emits = np.zeros(len(self.asks), dtype=bool), np.zeros(len(self.asks), dtype=bool)
         several, repeated, leads, crowded = B.answers(table, _NEXT, phrase, boards, 4)
         settled[alone] = repeated[place[alone]]
         emits[alone] = leads[place[alone]]
-        repeated, leads = B.answers(table, _CONTEXT, context[:, 0], boards, 2)
+        repeated, leads = B.answers(table, _CONTEXT, self.context.key[context], boards, 2)
         settled[~alone] = repeated[at]
         emits[~alone] = leads[at]
         emits &= several[place]
@@ -119,7 +151,7 @@ class _Groups:
         bound[has] = self.phrase_end[after[has]] - self.width
         # of equal contexts in this chunk, one compares its windows
         one = np.zeros(len(self.asks), dtype=bool)
-        one[self.lead] = True
+        one[self.context.first] = True
         go = np.flatnonzero(emits & one)
         at = self.asks[go]
         low, high = self.whole[at], np.minimum(self.hi[at] + 1, bound[go])
@@ -164,30 +196,41 @@ def _first_answer(kind: int, parts: list, crowd: int) -> list[list[np.ndarray]]:
     return [list(x) for x in zip(*(np.split(b, ends) for b in bits), strict=True)]
 
 
-def _dense(keys: np.ndarray) -> tuple[np.ndarray, int]:
-    """Ranks from 0, equal ones for equal keys, and how many there are."""
-    uniq, rank = np.unique(keys, return_inverse=True)
-    return rank.reshape(-1), len(uniq)
+def _ranks(keys: np.ndarray, end: np.ndarray, depth: int, most: int) -> np.ndarray:
+    """Ranks of suffixes, equal ones for equal suffixes, from keys that order their first depth items.
 
-
-def _doubled(rank: np.ndarray, classes: int, end: np.ndarray, depth: int, most: int) -> np.ndarray:
-    """Ranks of whole suffixes from those of their first depth items: a suffix ends before its place in end,
-    and what lies behind an end is smaller than all else. Stops at most items, or when nothing changes."""
-    n, here = len(rank), np.arange(len(rank))
-    while depth < most:
-        to = here + depth
-        next_ = np.where(to < end, rank[np.minimum(to, n - 1)] + 1, 0)
-        after, found = _dense(rank * (n + 1) + next_)
-        if found == classes:
+    A suffix ends before its place in end, and what lies behind an end is smaller than all else. A rank is the
+    number of smaller suffixes, so only those that still share one are looked at again, by the rank of what
+    follows at twice the depth; until most items, or until nothing changes.
+    """
+    order = np.argsort(keys, kind="stable")
+    open_, rank, before = order, np.zeros(len(keys), dtype=np.int64), np.zeros(len(keys), dtype=np.int64)
+    key, depth = keys[order], depth / 2
+    while len(open_):
+        here = np.arange(len(open_))
+        old, new = np.ones(len(open_), dtype=bool), np.ones(len(open_), dtype=bool)
+        old[1:] = before[1:] != before[:-1]
+        new[1:] = old[1:] | (key[1:] != key[:-1])
+        start = np.maximum.accumulate(np.where(new, here, 0))
+        after = before + start - np.maximum.accumulate(np.where(old, here, 0))
+        rank[open_] = after
+        depth = int(2 * depth)
+        if depth >= most or len(open_) < len(keys) and (after == before).all():
             break
-        rank, classes, depth = after, found, 2 * depth
+        twins = ~new
+        twins[:-1] |= ~new[1:]
+        open_, before = open_[twins], after[twins]
+        to = open_ + depth
+        key = np.where(to < end[open_], rank[np.minimum(to, len(keys) - 1)] + 1, 0)
+        order = np.lexsort((key, before))
+        open_, before, key = open_[order], before[order], key[order]
     return rank
 
 
 def suffix_order(text: np.ndarray, off: np.ndarray, starts: np.ndarray, spacing: int, width: int) -> np.ndarray:
     """The starts (places in text, with width bytes before the end of their region) in the order of the text
     that begins there, as far as width bytes go; off: the offsets of the regions of text."""
-    at = np.flatnonzero(Prefix.of_bytes(text).every(TRIGGER) >> np.uint64(40) < np.uint64((1 << 24) // spacing))
+    at = _triggers(text, spacing)
     at = at[at + TRIGGER <= off[np.searchsorted(off, at, side="right")]]
     # phrases: from a region's start or a trigger to the end of the next trigger, or of the region
     lo = np.union1d(off[:-1], at)
@@ -209,11 +252,10 @@ def suffix_order(text: np.ndarray, off: np.ndarray, starts: np.ndarray, spacing:
     first = np.zeros(len(letters), dtype=np.int64)
     for j in range(7):
         first = first << 9 | np.where(here + j < end, letters[np.minimum(here + j, len(letters) - 1)].astype(np.int64) + 1, 0)
-    rank = _doubled(*_dense(first), end, 7, int(size.max(initial=0)))
+    rank = _ranks(first, end, 7, int(size.max(initial=0)))
     # the suffix array of the parse, whose letters are the ranks of the phrases
-    spelled, found = _dense(rank[begin[phrase]])
     of_region = np.append(np.flatnonzero(last) + 1, 0)[np.cumsum(last) - last]
-    follow = _doubled(spelled, found, of_region, 1, width)
+    follow = _ranks(rank[begin[phrase]], of_region, 1, width)
     # both together
     t = np.searchsorted(lo, starts, side="right") - 1
     after = np.where(last[t], 0, follow[np.minimum(t + 1, len(lo) - 1)] + 1)
@@ -261,12 +303,14 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
     def parse(table: pa.Table) -> pa.Table:
         chunk = table["chunk"][0].as_py()
         g = _Groups(*text_bytes(table["text"]), width, spacing)
-        phrase, _, told, many, twice, _, context, _, again = g.questions()
+        phrase, _, first, n, many, twice, _, context, _, again = g.questions()
         low = lambda x: (x & np.uint64(0xFFFFFFFF)).astype(np.uint32)
-        return B.asked_table([*B.ask(chunk, _NEXT, phrase, [low(phrase), told[:, 0], low(told[:, 1])], [many, twice], phrase_boards), *B.ask(chunk, _CONTEXT, context[:, 0], [context[:, 0], low(context[:, 1])], [again], phrase_boards)])
+        sha = g.context.digests()  # of these, 96 bits travel
+        told = np.where(many, n, sha[first, 0]) if len(first) else n
+        return B.asked_table([*B.ask(chunk, _NEXT, phrase, [low(phrase), told, low(sha[first, 1])], [many, twice], phrase_boards), *B.ask(chunk, _CONTEXT, g.context.key[context], [sha[context, 0], low(sha[context, 1])], [again], phrase_boards)])
 
-    def windows(g: _Groups, starts: np.ndarray) -> tuple:
-        return B.repeats_wide(digest(memoryview(g.data), starts, starts + width))
+    def windows(g: _Groups, starts: np.ndarray) -> _Classes:
+        return _Classes(g.data, g.sums, starts, starts + width)
 
     def compare(key, left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
@@ -278,8 +322,8 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
         for b in np.flatnonzero(np.diff(at)):
             part = slice(at[b], at[b + 1])
             rows.append((int(b), chunk, _REGION, int(at[b + 1] - at[b]), n[part].astype(np.uint32).tobytes() + g.data[spread(low[part], low[part] + n[part] + width - 1)].tobytes()))
-        keys, _, count = windows(g, starts)
-        return B.asked_table([*rows, *B.ask(chunk, _WINDOW, keys[:, 0], [keys], [count >= 2], window_boards)])
+        w = windows(g, starts)
+        return B.asked_table([*rows, *B.ask(chunk, _WINDOW, w.key, [w.digests()], [w.count >= 2], window_boards)])
 
     def remove(_, left: pa.Table, right: pa.Table) -> pa.Table:
         data, off = text_bytes(left["text"])
@@ -287,10 +331,10 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
         if len(data):
             g = _Groups(data, off, width, spacing)
             settled, (phrase, low, n), starts = g.hard(right, phrase_boards)
-            keys, place, _ = windows(g, starts)
-            (hot,) = B.answers(right, _WINDOW, keys[:, 0], window_boards, 1)
+            w = windows(g, starts)
+            (hot,) = B.answers(right, _WINDOW, w.key, window_boards, 1)
             (also,) = B.answers(right, _REGION, np.repeat(phrase, n), region_boards, 1)
-            gone = covered(np.concatenate((spread(g.lo[settled], g.hi[settled] + 1), starts[hot[place]], spread(low, low + n)[also])), width, len(data))
+            gone = covered(np.concatenate((spread(g.lo[settled], g.hi[settled] + 1), starts[hot[w.place]], spread(low, low + n)[also])), width, len(data))
         return finish(left["doc_id"], data, off, gone)
 
     by_chunk = dealt.groupBy("chunk")
