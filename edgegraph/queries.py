@@ -259,6 +259,17 @@ def distances_multi_source(spark, d, rule=catalog.copurchase_q):
     return programs.distances(baselines.hash_edges(g, 8, SEED), sources).states.select("vid", F.coalesce(F.col("value"), F.lit(-1)).cast("int").alias("dist"))
 
 
+_WEIGHT = "(1 + (src * 7 + dst) % 5)::double"
+
+
+@query(f"with recursive {_Q}, w as (select src a, dst b, {_WEIGHT} w from e union all select dst, src, {_WEIGHT} from e), s as (select vid from deg order by {portable_hash_sql(SEED, 'vid')}, vid limit 1), t(vid, d) using key (vid) as (select vid, 0::double d from s union select w.b vid, min(t.d + w.w) d from t join w on w.a = t.vid left join recurring.t r on r.vid = w.b where r.vid is null or t.d + w.w < r.d group by w.b) select deg.vid, coalesce(t.d, -1) dist from deg left join t using (vid)")
+def distances_weighted(spark, d, rule=catalog.copurchase_q):
+    g = _q(spark, d, rule)
+    p = baselines.hash_edges(g, 8, SEED)
+    weighted = EdgePartitioning(p.assigned.withColumn("cost", 1 + (F.col("src") * 7 + F.col("dst")) % 5), p.k)
+    return programs.distances(weighted, baselines.pick_source(g, SEED), weight="cost").states.select("vid", F.coalesce("value", F.lit(-1.0)).alias("dist"))
+
+
 _H = f"e as ({catalog.SQL['hierarchy']}), h as (select src a, dst b from e union all select dst, src from e)"
 
 
@@ -290,13 +301,14 @@ def betweenness_sampled(spark, d, rule=catalog.shared_line):
     return programs.betweenness(baselines.hash_edges(g, 4, SEED), [baselines.pick_source(g, s) for s in range(2)]).withColumn("score", F.round("score", 6))
 
 
-@query("select true as not_negative")
+@query(f"with {_DISTANCE.format(graph=_Q, order=portable_hash_sql(SEED, 'vid'), sources=1)} select max(d)::bigint vertex_rounds, true as not_negative from t")
 def gain_nonnegative(spark, d, rule=catalog.copurchase_q):
+    """Rounds of the vertex baseline (the source's eccentricity), and whether the engine takes no more."""
     g = _q(spark, d, rule)
     source = baselines.pick_source(g, SEED)
     _, rounds = baselines.vertex_rounds_distance(g, source)
     out = programs.distances(baselines.hash_edges(g, 4, SEED), source)
-    return spark.createDataFrame([(measures.gain(out.supersteps, rounds) >= 0,)], "not_negative boolean")
+    return spark.createDataFrame([(rounds, measures.gain(out.supersteps, rounds) >= 0)], "vertex_rounds long, not_negative boolean")
 
 
 @query(f"with e as ({catalog.SQL['activity_grid']}) select count(*) n_edges, 0::bigint triangles, 0::bigint loops_or_twice from e")
@@ -360,6 +372,33 @@ def compare_summary(spark, d):
     return _rounded(experiments.sweep(spark, "compare", _giants(spark, d, W3_GRAPHS), ("growth", "takeover", "swap", "hash"), (K,), SEEDS))
 
 
+W5_GRAPHS = ("copurchase_q", "activity_grid")
+
+
+@query()
+def engine_vs_vertex_rounds(spark, d):
+    """W5: steps, gain and seconds of the distance program on funded parts and of the vertex baseline."""
+    rows = []
+    for name in W5_GRAPHS:
+        g = EdgeGraph(Scratch(spark, "graph").store(spark.createDataFrame(experiments.giant_list(experiments.edge_list(catalog.GRAPHS[name](spark, d))), "src long, dst long")))
+        rows += [(name, *r) for r in experiments.engine_against_vertex_rounds(g, (2, 8), SEED)]
+    return spark.createDataFrame(rows, "graph string, method string, k int, steps int, gain double, differ long, seconds double")
+
+
+_SIZES = [(n, catalog.SQL[n]) for n in catalog.GRAPHS]
+
+
+@query("with " + ", ".join(f"g{i} as ({q})" for i, (_, q) in enumerate(_SIZES)) + " " + " union all ".join(f"select '{n}' graph, (select count(*) from (select distinct unnest([src, dst]) from g{i})) n, (select count(*) from g{i}) m" for i, (n, _) in enumerate(_SIZES)))
+def dataset_sizes(spark, d):
+    """W6: vertices and edges of every graph of the catalog."""
+    out = None
+    for name, rule in catalog.GRAPHS.items():
+        g = EdgeGraph(Scratch(spark, "graph").store(rule(spark, d).edges))
+        row = g.edges.agg(F.lit(name).alias("graph"), F.count(F.lit(1)).alias("m")).crossJoin(g.vertices().agg(F.count(F.lit(1)).alias("n")))
+        out = row if out is None else out.unionByName(row)
+    return out.select("graph", "n", "m")
+
+
 def flagship(spark, d):
     """Purchases of one quarter: giant component, four funded regions, distances, vertices by distance."""
     g = topology.giant_component(_q(spark, d))
