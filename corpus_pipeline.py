@@ -49,7 +49,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 STAGES = [("quality classifier", keep_quality), ("exact dedup", drop_copies), ("near-dedup", drop_near_copies), ("substring dedup", cut_passages), ("packing", pack_sequences)]
 
-#: SQL can express neither the classifier nor the tokenizer; tests hold the stages against brute force.
+#: SQL can express neither the classifier nor the tokenizer; tests/llm/test_pipeline.py holds the stages against plain Python.
 ORACLE_SQL = None
 
 
