@@ -17,6 +17,32 @@ def test_recall_and_exact_scores(spark, sf):
     assert all(abs(got[k] - want[k]) < 1e-12 for k in got.keys() & want.keys())
 
 
+def _plain(x: np.ndarray, ids: np.ndarray, q: int, k: int) -> list[int]:
+    score = np.where(np.arange(len(ids)) == q, -np.inf, (x * x[q]).sum(axis=1))
+    return ids[np.lexsort((ids, -score))[:k]].tolist()
+
+
+def test_brute_force_against_plain_products(spark):
+    rng = np.random.default_rng(5)
+    x, ids = rng.standard_normal((90, 6)).astype(np.float32).astype(float), np.arange(90)
+    table = spark.createDataFrame([(int(i), x[i].tolist()) for i in ids], "vec_id long, embedding array<double>")
+    got = ann.brute_force(table, F.col("vec_id") % 20 == 0, k=7, block_rows=40, query_rows=2).orderBy("query_id", "rank").collect()
+    assert [r.vec_id for r in got] == [i for q in range(0, 90, 20) for i in _plain(x, ids, q, 7)]
+
+
+def test_collisions_spare_products(spark):
+    """On vectors of one length and of many lengths most of a block is never verified, and recall holds."""
+    rng = np.random.default_rng(11)
+    for spread in (0.0, 0.3):
+        x = rng.standard_normal((6_000, 64))
+        x *= np.exp(spread * rng.standard_normal((6_000, 1))) / np.linalg.norm(x, axis=1, keepdims=True)
+        ids, largest = np.arange(6_000), float(np.linalg.norm(x, axis=1).max())
+        block = ann.Block(ids, x, largest, np.random.default_rng(7).standard_normal((65, 512)), 48, 0.3, 0.95)
+        hits = sum(len({*_plain(x, ids, q, 20)} & {*block.search(q, x[q], 20, 1.1)[0].tolist()}) for q in range(0, 1_000, 20))
+        assert hits >= 0.9 * 50 * 20
+        assert block.verified < (0.4 if spread == 0 else 0.9) * block.searched
+
+
 def test_ties_repeats_and_odd_vectors(spark):
     rng = np.random.default_rng(3)
     x = rng.standard_normal((60, 8)).round(3)
