@@ -141,6 +141,31 @@ def reply_chain(spark, sf_dir):
     return EdgeGraph.from_pairs(nxt, key(F.col("turn") - 1), key(F.col("turn")))
 
 
+def toy(spark, name: str, n: int) -> EdgeGraph:
+    """A small graph of known measures: 'path', 'cycle', 'star' or 'clique' of n vertices, 'grid' of n rows and
+    columns, or 'barbell', two cliques of n vertices joined by one edge."""
+    i = F.col("id")
+    later = lambda upto: F.explode(F.sequence(i + 1, upto))
+    inner = spark.range(max(0, n - 1))
+    if name == "path":
+        pairs = inner.select(i.alias("a"), (i + 1).alias("b"))
+    elif name == "cycle":
+        pairs = spark.range(n).select(i.alias("a"), ((i + 1) % n).alias("b"))
+    elif name == "star":
+        pairs = inner.select(F.lit(0).cast("long").alias("a"), (i + 1).alias("b"))
+    elif name == "clique":
+        pairs = inner.select(i.alias("a"), later(F.lit(n - 1)).alias("b"))
+    elif name == "grid":
+        right = spark.range(n * n).where(i % n < n - 1).select(i.alias("a"), (i + 1).alias("b"))
+        pairs = right.union(spark.range(n * (n - 1)).select(i, i + n))
+    elif name == "barbell":
+        one = inner.select(i.alias("a"), later(F.lit(n - 1)).alias("b"))
+        pairs = one.union(one.select(F.col("a") + n, F.col("b") + n)).union(spark.range(1).select(i, i + n))
+    else:
+        raise ValueError(f"no toy graph {name}")
+    return EdgeGraph.from_pairs(pairs, "a", "b")
+
+
 def knn(spark, sf_dir, k: int = 5, block_rows: int = 2048):
     """Each vector and its k nearest by cosine, exactly: blocks of bounded size meet each other, and a vector
     keeps its k best of a block before what it found in all blocks is ranked."""

@@ -10,7 +10,7 @@ from ..functions import portable_hash
 from ..model import EdgeGraph, EdgePartitioning
 from ..plans import Scratch
 from .baselines import vertex_rounds_distance
-from .programs import components
+from .programs import components, distances
 
 
 def triangle_list(g: EdgeGraph) -> DataFrame:
@@ -52,18 +52,27 @@ def random_clustering(n, m):
     return 2 * m / (n * (n - 1))
 
 
-def diameter(g: EdgeGraph, source: int | None = None, mode: str = "sweep") -> int:
-    """The largest distance in the component of source (or of the smallest vertex): exact from all sources
-    ('exact', small graphs), or a lower bound by two searches ('sweep')."""
-    if mode == "exact":
-        return max((vertex_rounds_distance(g, r["vid"])[1] for r in g.vertices().toLocalIterator()), default=0)
+def _farthest(g: EdgeGraph, source: int, k: int) -> tuple[int, int]:
+    """The largest distance from source, and the smallest vertex that far away."""
+    from .baselines import hash_edges
+
+    states = distances(hash_edges(g, k), source).states.where("value is not null")
+    row = states.agg(F.min(F.struct(-F.col("value"), F.col("vid"))).alias("far")).first()["far"]
+    return (0, source) if row is None else (int(-row[0]), row["vid"])
+
+
+def diameter(g: EdgeGraph, source: int | None = None, mode: str = "sweep", k: int = 8) -> int:
+    """The largest distance in the component of source (or of the smallest vertex): exact from all its
+    vertices ('exact', small graphs), or a lower bound by two searches of the replica engine ('sweep')."""
     if source is None:
         source = g.vertices().agg(F.min("vid")).first()[0]
     if source is None:
         return 0
-    dist, first = vertex_rounds_distance(g, source)
-    far = dist.where(F.col("dist") == first).agg(F.min("vid")).first()[0]
-    return max(first, vertex_rounds_distance(g, far)[1])
+    if mode == "exact":
+        inside = vertex_rounds_distance(g, source)[0].where("dist is not null")
+        return max((vertex_rounds_distance(g, r["vid"])[1] for r in inside.toLocalIterator()), default=0)
+    first, far = _farthest(g, source, k)
+    return max(first, _farthest(g, far, k)[0])
 
 
 def giant_component(g: EdgeGraph, k: int = 8, least: int | None = None) -> EdgeGraph:

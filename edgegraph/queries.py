@@ -87,6 +87,24 @@ def line_graph_edges(spark, d):
     return topology.line_graph(catalog.reply_chain(spark, d))
 
 
+_STEP = "using key (vid) as (select vid, 0 d from {start} union select h.b vid, min({t}.d) + 1 d from {t} join h on h.a = {t}.vid left join recurring.{t} r on r.vid = h.b where r.vid is null or {t}.d + 1 < r.d group by h.b)"
+
+
+def _diameter_sql(graph: str) -> str:
+    first, second = _STEP.format(start="s", t="t"), _STEP.format(start="f", t="u")
+    return f"""with recursive e as ({catalog.SQL[graph]}), h as (select src a, dst b from e union all select dst, src from e), s as (select min(a) vid from h),
+        t(vid, d) {first}, f as (select min(vid) vid from t where d = (select max(d) from t)), u(vid, d) {second}
+        select greatest((select max(d) from t), (select max(d) from u))::bigint diameter"""
+
+
+for _name in ("copurchase_q", "cust_supp", "supp_part", "shared_line", "hierarchy"):
+
+    @query(_diameter_sql(_name), f"diameter_{_name}")
+    def _diameter(spark, d, f=catalog.GRAPHS[_name]):
+        """Q13: the lower bound of two searches, from the smallest vertex and from the farthest one of it."""
+        return spark.createDataFrame([(topology.diameter(_q(spark, d, f)),)], "diameter long")
+
+
 # ------------------------------------------------------------ partitionings and measures
 
 

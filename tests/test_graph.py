@@ -351,3 +351,31 @@ def test_betweenness_matches_brute_force(spark):
                 want[v] += owed[v]
     got = {r.vid: r.score for r in programs.betweenness(baselines.hash_edges(g, 3), sources).collect()}
     assert got.keys() == want.keys() and all(abs(got[v] - want[v]) < 1e-9 for v in want)
+
+
+def test_toy_graphs_and_their_diameters(spark):
+    from edgegraph import catalog, experiments
+
+    want = {("path", 7): (6, 6), ("cycle", 9): (9, 4), ("star", 6): (5, 2), ("clique", 5): (10, 1), ("grid", 4): (24, 6), ("barbell", 4): (13, 3)}
+    for (name, n), (m, far) in want.items():
+        g = catalog.toy(spark, name, n)
+        edges = experiments.edge_list(g)
+        assert len(edges) == m and len(set(edges)) == m
+        assert max(max(x for x in bfs(edges, v).values()) for v in {v for e in edges for v in e}) == far
+        assert experiments.diameter_bound(edges) == far
+    assert topology.diameter(catalog.toy(spark, "barbell", 4)) == 3 and topology.diameter(catalog.toy(spark, "path", 7), source=2) == 6
+    assert topology.diameter(catalog.toy(spark, "path", 3), mode="exact") == 2
+    assert topology.diameter(catalog.toy(spark, "path", 1)) == 0
+    with pytest.raises(ValueError):
+        catalog.toy(spark, "wheel", 4)
+
+
+def test_sweep_reports_the_diameter_and_trends_follow_it(spark):
+    from edgegraph import catalog, experiments
+
+    graphs = {"long": experiments.edge_list(catalog.toy(spark, "path", 60)), "square": experiments.edge_list(catalog.toy(spark, "grid", 6))}
+    rows = measures.summarise(experiments.sweep(spark, "w", graphs, ("growth",), (2, 4), range(2))).collect()
+    assert {(r["graph"], r["mean"]) for r in rows if r["metric"] == "diameter"} == {("long", 59.0), ("square", 10.0)}
+    made = [{"graph": g, "method": "x", "k": k, "metric": m, "mean": v} for g, d in (("a", 3), ("b", 9)) for k in (2, 4) for m, v in (("rounds", d * 10 / k), ("diameter", d), ("flat", 1.0))]
+    assert experiments.trends(made, "rounds", "k") < 0 < experiments.trends(made, "rounds", "diameter")
+    assert experiments.trends(made, "flat", "k") == 0.0
