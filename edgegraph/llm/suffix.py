@@ -294,6 +294,12 @@ def _second_answer(kind: int, parts: list, spacing: int, width: int) -> list[lis
     return [[x] for x in np.split(hot[place], np.cumsum([n for _, n, _ in parts])[:-1])]
 
 
+def _in_order(table: pa.Table) -> pa.Table:
+    """The rows of a chunk by id and text. Regions of one phrase are told apart by their place in the chunk, and its
+    rows may arrive in another order in each pass."""
+    return table.sort_by([("doc_id", "ascending"), ("text", "ascending")])
+
+
 def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spacing: int, finish, schema: str, crowd: int) -> DataFrame:
     dealt, size = B.deal(docs, chunk_bytes)
     phrase_boards = max(1, math.ceil(size / spacing / board_keys))
@@ -302,7 +308,7 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
 
     def parse(table: pa.Table) -> pa.Table:
         chunk = table["chunk"][0].as_py()
-        g = _Groups(*text_bytes(table["text"]), width, spacing)
+        g = _Groups(*text_bytes(_in_order(table)["text"]), width, spacing)
         phrase, _, first, n, many, twice, _, context, _, again = g.questions()
         low = lambda x: (x & np.uint64(0xFFFFFFFF)).astype(np.uint32)
         sha = g.context.digests()  # of these, 96 bits travel
@@ -316,7 +322,7 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
         if not left.num_rows:
             return B.asked_table([])
         chunk = key[0].as_py()
-        g = _Groups(*text_bytes(left["text"]), width, spacing)
+        g = _Groups(*text_bytes(_in_order(left)["text"]), width, spacing)
         _, (phrase, low, n), starts = g.hard(right, phrase_boards)
         rows, at = [], B.cuts(phrase, region_boards)
         for b in np.flatnonzero(np.diff(at)):
@@ -326,6 +332,7 @@ def _chunks(docs: DataFrame, width: int, chunk_bytes: int, board_keys: int, spac
         return B.asked_table([*rows, *B.ask(chunk, _WINDOW, w.key, [w.digests()], [w.count >= 2], window_boards)])
 
     def remove(_, left: pa.Table, right: pa.Table) -> pa.Table:
+        left = _in_order(left)
         data, off = text_bytes(left["text"])
         gone = np.zeros(len(data), dtype=bool)
         if len(data):

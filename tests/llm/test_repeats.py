@@ -142,3 +142,55 @@ def test_long_texts_and_empty_tables(spark):
     assert got[2].n_removed == 200_000 + 2 * len(line) and got[3].n_removed == 200_000 + len(line)
     words = {r.doc_id: r.n_removed for r in repeated_passages(docs, width=20, digest=True).collect()}
     assert words[1] == 0 and words[2] == 0 and words[3] >= 39
+
+
+class Shuffled:
+    """As much of a DataFrame as the passes of repeated_spans use; a group's rows arrive in another order each time."""
+
+    def __init__(self, table, rng, keys=()):
+        self.table, self.rng, self.keys = table, rng, keys
+
+    def groupBy(self, key):
+        return Shuffled(self.table, self.rng, [*self.keys, (key, self.table)])
+
+    def cogroup(self, other):
+        return Shuffled(None, self.rng, [*self.keys, *other.keys])
+
+    def unionByName(self, other):
+        import pyarrow as pa
+
+        return Shuffled(pa.concat_tables([self.table, other.table]), self.rng)
+
+    def applyInArrow(self, f, schema):
+        import pyarrow as pa
+
+        found = {}
+        for i, (key, table) in enumerate(self.keys):
+            for at, x in enumerate(table[key].to_pylist()):
+                found.setdefault(x, [[] for _ in self.keys])[i].append(at)
+        out = []
+        for x, places in found.items():
+            for p in places:
+                self.rng.shuffle(p)
+            groups = [t.take(pa.array(p, pa.int64())) for (_, t), p in zip(self.keys, places)]
+            out.append(f(*groups) if len(groups) == 1 else f((pa.scalar(x),), *groups))
+        return Shuffled(pa.concat_tables(out), self.rng)
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_spans_do_not_rest_on_the_order_of_rows(monkeypatch, seed):
+    """The rows of a chunk come in any order from a shuffle, and in another one in each pass."""
+    import pyarrow as pa
+
+    from edgegraph.llm import suffix
+
+    rng = random.Random(seed)
+    base = "".join(rng.choice("abcd") for _ in range(900))
+    rows = []
+    for i in range(40):
+        parts = [base[a : a + rng.randint(80, 400)] for a in (rng.randrange(700) for _ in range(3))]
+        rows.append((i, "".join(rng.choice("efgh") for _ in range(30)).join(parts)))
+    table = pa.table({"doc_id": [d for d, _ in rows], "text": [t for _, t in rows], "chunk": pa.array([d % 3 for d, _ in rows], pa.int32())})
+    monkeypatch.setattr(suffix.B, "deal", lambda docs, size: (Shuffled(table, rng), sum(len(t) for _, t in rows)))
+    out = suffix._chunks(None, 60, 1, 500, 8, suffix._digest, suffix.RESULT, 4096).table
+    assert sorted(tuple(r.values()) for r in out.to_pylist()) == sorted(brute_bytes(rows, 60))
