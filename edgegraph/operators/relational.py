@@ -308,13 +308,17 @@ def op_subquery_scalar(spark, d):
 
 @query("with recursive up(vid, above, depth) as (select c_custkey * 16 + 2, c_nationkey::bigint * 16 + 1, 1 from customer union all select up.vid, n_regionkey::bigint * 16, depth + 1 from up join nation on above = n_nationkey::bigint * 16 + 1) select vid, above, depth::bigint depth from up")
 def op_cte_recursive(spark, d):
+    """The recursion climbs from the nations, and customers take the steps of theirs: Spark ends a recursion of over
+    1,000,000 rows with an error."""
     customers, nations = load(spark, d, "customer").select("c_custkey", "c_nationkey"), load(spark, d, "nation").select("n_nationkey", "n_regionkey")
     return spark.sql(
         """
-        with recursive up(vid, above, depth) max recursion level 5 as (
-            select c_custkey * 16 + 2, cast(c_nationkey as bigint) * 16 + 1, 1 from {customers}
-            union all select up.vid, cast(n_regionkey as bigint) * 16, depth + 1 from up join {nations} on above = cast(n_nationkey as bigint) * 16 + 1)
-        select vid, above, cast(depth as bigint) as depth from up""",
+        with recursive climb(start, above, depth) max recursion level 5 as (
+            select cast(n_nationkey as bigint) * 16 + 1, cast(n_regionkey as bigint) * 16, 2 from {nations}
+            union all select climb.start, cast(n_regionkey as bigint) * 16, depth + 1 from climb join {nations} on above = cast(n_nationkey as bigint) * 16 + 1),
+        own as (select c_custkey * 16 + 2 as vid, cast(c_nationkey as bigint) * 16 + 1 as above from {customers})
+        select vid, above, cast(1 as bigint) as depth from own
+        union all select own.vid, climb.above, cast(climb.depth as bigint) from own join climb on own.above = climb.start""",
         customers=customers,
         nations=nations,
     )
